@@ -2,13 +2,15 @@
 
 from __future__ import annotations
 
-from statewitness.llm import exact_dedup, packing
+from statewitness.llm import decontaminate, exact_dedup, near_dedup, packing
 
 
 def queries() -> dict:
     return {
         "op3_exact_dedup": exact_dedup.query,
         "op4_best_fit_packing": packing.query,
+        "op5_minhash_near_dedup": near_dedup.query,
+        "op9_decontamination": decontaminate.query,
     }
 
 
