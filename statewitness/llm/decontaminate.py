@@ -12,7 +12,7 @@ The test items travel to the workers, so their size is checked; a larger benchma
 below the bound, each with its own two scans.
 
 Defined results: null or empty texts and items match nothing; items of fewer than ``MIN_WORDS`` words
-are too short to tell and match nothing; case of A-Z is ignored; a repeated row is reported each time;
+are too short to tell and match nothing; case is ignored; a repeated row is reported each time;
 a repeated item id is reported for each of its texts; empty tables give no rows;
 extra columns are ignored.
 """
@@ -24,6 +24,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -73,11 +74,11 @@ class Items:
 
 
 def read_items(rows: list[tuple], n: int) -> Items:
-    family = Family(FAMILY_SEED, fold_case=True)
+    family = Family(FAMILY_SEED)
     out = Items([], [], np.zeros(0, np.uint64), np.zeros(0, np.int64), np.zeros(0, np.int64))
     grams, items, places = [], [], []
     for item_id, text in rows:
-        w = find_words(*text_buffers(pa.array([text], pa.string())))
+        w = find_words(*text_buffers(pc.utf8_lower(pa.array([text], pa.string()))))
         if len(w.starts) < max(MIN_WORDS, n):
             continue
         h = family.word_hashes(w.raw, w.starts, w.ends)
@@ -131,12 +132,12 @@ def merged(spans: list[tuple[int, int]]) -> list[tuple[int, int]]:
 
 def count_grams(shared, n: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        family, lookup = Family(FAMILY_SEED, fold_case=True), shared.value
+        family, lookup = Family(FAMILY_SEED), shared.value
         total, rows = np.zeros(len(lookup.keys), np.int64), 0
         for whole in batches:
             for batch in chunks(whole):
                 rows += batch.num_rows
-                w = find_words(*text_buffers(column(batch, "text")))
+                w = find_words(*text_buffers(pc.utf8_lower(column(batch, "text"))))
                 h = family.word_hashes(w.raw, w.starts, w.ends)
                 at, key = lookup.find(family.grams(h, n), inside(w, n))
                 pairs = np.unique(w.doc_of[at] * len(lookup.keys) + key) if len(at) else at
@@ -155,7 +156,7 @@ def align(shared, n: int, threshold: float):
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         lookup, first, item_of, pos_of, items = shared.value
-        family = Family(FAMILY_SEED, fold_case=True)
+        family = Family(FAMILY_SEED)
         memory: dict[tuple[int, bytes], tuple[int, int, int]] = {}
 
         def best(item: int, passage: np.ndarray) -> tuple[int, int, int]:
@@ -175,7 +176,7 @@ def align(shared, n: int, threshold: float):
         for whole in batches:
             out: list[tuple] = []
             for batch in chunks(whole):
-                w = find_words(*text_buffers(column(batch, "text")))
+                w = find_words(*text_buffers(pc.utf8_lower(column(batch, "text"))))
                 h = family.word_hashes(w.raw, w.starts, w.ends)
                 at, key = lookup.find(family.grams(h, n), inside(w, n))
                 if not len(at):
