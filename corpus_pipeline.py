@@ -1,13 +1,66 @@
-"""Corpus pipeline (filled in as its stages are built)."""
+"""Corpus pipeline: quality rules, exact copies, near copies, benchmark passages, packing.
+
+Each stage takes (spark, docs, sf_dir), works on all that the stage before kept, and returns a
+DataFrame; ``run`` writes each result as Parquet and reads it again as the next stage's ``docs``. All
+stages but the last return the columns of ``documents``.
+"""
 
 from __future__ import annotations
 
-STAGES: list = []
+from pyspark.sql import DataFrame, SparkSession
+
+from statewitness.llm import decontaminate, exact_dedup, near_dedup, packing, quality
+from statewitness.llm.bounded import drop_keys
+from statewitness.llm.scratch import Scratch
+
+
+def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that the rule ensemble accepts."""
+    return quality.keep_good(docs, quality.train(docs, spark.read.parquet(f"{sf_dir}/labels.parquet")))
+
+
+def exact_copies(spark: SparkSession, docs: DataFrame, _sf_dir: str) -> DataFrame:
+    """One document of each text (white space aside): the smallest id."""
+    return _without(spark, docs, exact_dedup.exact_groups(docs).filter("not kept"), "exact")
+
+
+def near_copies(spark: SparkSession, docs: DataFrame, _sf_dir: str) -> DataFrame:
+    """One document of each class of near copies (five-word shingles, similarity 0.8): the smallest id."""
+    return _without(spark, docs, near_dedup.near_classes(docs).filter("not kept"), "near")
+
+
+def benchmark_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents without a copy, edited or not, of a test item."""
+    return _without(spark, docs, decontaminate.find_leaks(docs, spark.read.parquet(f"{sf_dir}/benchmark.parquet")), "leaks")
+
+
+def best_fit_packing(_spark: SparkSession, docs: DataFrame, _sf_dir: str) -> DataFrame:
+    """Where each piece of each document is packed."""
+    return packing.pack(docs, packing.word_tokenizer())
+
+
+def _without(spark: SparkSession, docs: DataFrame, lost: DataFrame, name: str) -> DataFrame:
+    s = Scratch(spark)
+    ids = s.save(lost.select("doc_id").distinct(), name, keep=True)
+    return drop_keys(docs, ids, "doc_id", ids.count()).select(docs.columns)
+
+
+STAGES = [
+    ("quality_rules", quality_rules),
+    ("exact_copies", exact_copies),
+    ("near_copies", near_copies),
+    ("benchmark_passages", benchmark_passages),
+    ("best_fit_packing", best_fit_packing),
+]
+
+#: The classifier and the alignment can't be put in SQL; tests hold the stages against brute force.
 ORACLE_SQL = None
 
 
-def run(spark, sf_dir):
+def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
-    for _name, stage in STAGES:
-        docs = stage(spark, docs, sf_dir)
+    s = Scratch(spark)
+    for name, stage in STAGES:
+        done = s.save(stage(spark, docs, sf_dir), name, keep=True)
+        docs = done
     return docs

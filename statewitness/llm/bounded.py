@@ -17,3 +17,9 @@ def keep_keys(df: DataFrame, keys: DataFrame, on: str, n_keys: int, limit: int =
     """
     side = F.broadcast(keys.select(on)) if n_keys <= limit else keys.select(on).hint("merge")
     return df.join(side, on, "left_semi")
+
+
+def drop_keys(df: DataFrame, keys: DataFrame, on: str, n_keys: int, limit: int = BROADCAST_KEYS) -> DataFrame:
+    """Rows of ``df`` whose ``on`` is not among ``keys``; rows whose ``on`` is null stay."""
+    side = F.broadcast(keys.select(on)) if n_keys <= limit else keys.select(on).hint("merge")
+    return df.join(side, on, "left_anti")

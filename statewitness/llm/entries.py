@@ -2,11 +2,13 @@
 
 from __future__ import annotations
 
-from statewitness.llm import decontaminate, exact_dedup, near_dedup, packing
+from statewitness.llm import decontaminate, exact_dedup, near_dedup, packing, quality, substring_dedup
 
 
 def queries() -> dict:
     return {
+        "op1_quality_rules": quality.query,
+        "op2_substring_dedup": substring_dedup.query,
         "op3_exact_dedup": exact_dedup.query,
         "op4_best_fit_packing": packing.query,
         "op5_minhash_near_dedup": near_dedup.query,

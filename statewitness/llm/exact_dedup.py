@@ -80,13 +80,6 @@ def exact_groups(
     )
 
 
-def drop_exact_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """The input rows whose text is the first of its group (by id); all columns are kept."""
-    groups = exact_groups(docs, id_col, text_col)
-    lost = groups.filter("not kept").select(F.col(id_col).alias("_lost"))
-    return docs.join(lost, F.col(id_col) == F.col("_lost"), "left_anti")
-
-
 def query(spark, sf_dir: str) -> DataFrame:
     return exact_groups(spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text"))
 
