@@ -59,8 +59,10 @@ ORACLE_SQL = None
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
-    s = Scratch(spark)
+    s, before = Scratch(spark), None
     for name, stage in STAGES:
-        done = s.save(stage(spark, docs, sf_dir), name, keep=True)
-        docs = done
+        docs = s.save(stage(spark, docs, sf_dir), name, keep=True)
+        if before:
+            s.drop(before)
+        before = name
     return docs
