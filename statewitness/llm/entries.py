@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from statewitness.llm import decontaminate, exact_dedup, near_dedup, packing, quality, sharding, substring_dedup, url_trust
+from statewitness.llm import decontaminate, exact_dedup, near_dedup, packing, quality, sharding, substring_dedup, url_trust, web_archive
 
 
 def queries() -> dict:
@@ -15,6 +15,7 @@ def queries() -> dict:
         "op7_url_trust": url_trust.query,
         "op8_shard_lookup": sharding.query,
         "op9_decontamination": decontaminate.query,
+        "op10_arc_to_warc": web_archive.query,
     }
 
 
