@@ -43,6 +43,7 @@ POSITIONS = 64
 LEAF = 24
 LEVELS = 10
 PIVOTS = 3
+REST_TURNS, REST_PIVOTS = 2, 6
 TARGET_RECALL = 0.9999999
 FAMILY_SEED = 502
 
@@ -168,7 +169,7 @@ def leaf_pairs(members: DataFrame, percent: int) -> DataFrame:
 
 def pivot_pairs(big: DataFrame, percent: int) -> DataFrame:
     """Every member of a large node with the node's pivots."""
-    draw = F.xxhash64("rep", "node")
+    draw = F.xxhash64("rep")  # the same in every node, so nodes that hold one group mostly share their pivots
     pivots = big.groupBy("node", F.pmod(draw, F.lit(PIVOTS)).alias("k")).agg(F.min(F.struct(draw.alias("d"), "rep", "n")).alias("v"))
     pivots = pivots.select("node", F.col("v.rep").alias("y"), F.col("v.n").alias("ny"))
     x = big.select("node", F.col("rep").alias("x"), F.col("n").alias("nx"))
@@ -254,14 +255,19 @@ def near_classes(
     for more in found[1:]:
         pairs = pairs.union(more)
     close = s.save(likely(pairs.distinct(), codes, agree), "close")
-    edges, names = confirm_all(s, close, texts, words_each, percent, broadcast_keys, "c")
-    comp = components(edges, s, "comp-1")
-    rest = s.save(left_apart(last, comp, percent), "rest")
-    if not rest.isEmpty():
-        far = s.save(likely(rest, codes, agree), "far")
-        more, _ = confirm_all(s, far, texts, words_each, percent, broadcast_keys, "f")
-        edges = edges.union(more)
-    comp = s.save(components(edges, s, "comp-2"), "comp", keep=True)
+    last = s.save(last.select("node", "rep", "n"), "last")
+    ids = s.save(close.select(F.col("a").alias("doc_id")).union(close.select("b")).union(last.select("rep")).distinct(), "ids")
+    chosen = keep_keys(texts, ids, "doc_id", ids.count(), broadcast_keys)
+    sets = s.save(chosen.mapInArrow(shingle_sets(words_each), "doc_id long, items array<long>").dropDuplicates(["doc_id"]), "sets")
+
+    best = close.groupBy("b").agg(F.max(F.struct("agree", (-F.col("a")).alias("m"))).alias("v")).select((-F.col("v.m")).alias("a"), "b")
+    edges = s.save(confirmed(best, sets, percent), "edges-1")
+    comp = s.save(components(edges, s, "comp-1"), "known-1")
+    edges = edges.union(s.save(confirmed(not_connected(close, comp), sets, percent), "edges-2"))
+    comp = s.save(components(edges, s, "comp-2"), "known-2")
+    if not last.isEmpty():
+        edges, comp = join_the_rest(s, last, edges, comp, codes, sets, agree, percent)
+    s.kept |= {name for name in s.paths if name.startswith("known-") and name == max(n for n in s.paths if n.startswith("known-"))}
     reps = s.save(classes.select("digest", "n", "rep"), "reps", keep=True)
     of_class = reps.join(comp.select(F.col("id").alias("rep"), "component"), "rep", "left").select("digest", "n", F.coalesce("component", "rep").alias("component"))
     out = slim.join(of_class, ["digest", "n"], "left")
@@ -272,30 +278,67 @@ def near_classes(
     return out.select("doc_id", F.col("n").cast("long").alias("n_shingles"), component.alias("component_id"), (F.col("doc_id") == component).alias("kept"))
 
 
-def confirm_all(s: Scratch, close: DataFrame, texts: DataFrame, words_each: int, percent: int, broadcast_keys: int, tag: str) -> tuple[DataFrame, list[str]]:
-    """Confirmed links that connect all that the confirmed pairs of ``close`` connect."""
-    ids = s.save(close.select(F.col("a").alias("doc_id")).union(close.select(F.col("b").alias("doc_id"))).distinct(), f"{tag}-ids")
-    chosen = keep_keys(texts, ids, "doc_id", ids.count(), broadcast_keys)
-    sets = s.save(chosen.mapInArrow(shingle_sets(words_each), "doc_id long, items array<long>").dropDuplicates(["doc_id"]), f"{tag}-sets")
-    best = close.groupBy("b").agg(F.max(F.struct("agree", (-F.col("a")).alias("m"))).alias("v")).select((-F.col("v.m")).alias("a"), "b")
-    first = s.save(confirmed(best, sets, percent), f"{tag}-first")
-    comp = s.save(components(first, s, f"{tag}-comp"), f"{tag}-known")
+def not_connected(pairs: DataFrame, comp: DataFrame) -> DataFrame:
+    """Pairs whose ends are in different components so far."""
     side = lambda k, out: comp.select(F.col("id").alias(k), F.col("component").alias(out))
-    apart = close.join(side("a", "ca"), "a", "left").join(side("b", "cb"), "b", "left").filter(F.coalesce("ca", "a") != F.coalesce("cb", "b"))
-    apart = apart.select("a", "b").join(best, ["a", "b"], "left_anti")
-    second = s.save(confirmed(apart, sets, percent), f"{tag}-second")
-    s.drop(f"{tag}-sets")
-    return first.union(second), [f"{tag}-first", f"{tag}-second"]
+    both = pairs.join(side("a", "ca"), "a", "left").join(side("b", "cb"), "b", "left")
+    return both.filter(F.coalesce("ca", "a") != F.coalesce("cb", "b")).select("a", "b")
 
 
-def left_apart(big: DataFrame, comp: DataFrame, percent: int) -> DataFrame:
-    """For nodes still large after the last level: members outside the node's largest component, with all others."""
-    named = big.join(comp.select(F.col("id").alias("rep"), "component"), "rep", "left").select("node", "rep", "n", F.coalesce("component", "rep").alias("c"))
+def join_the_rest(s: Scratch, last: DataFrame, edges: DataFrame, comp: DataFrame, codes: DataFrame, sets: DataFrame, agree: int, percent: int) -> tuple[DataFrame, DataFrame]:
+    """Links in nodes that stayed large: first to members of the node's largest component, then in full."""
+    alone = unshared(last, sets)
+    for turn in range(REST_TURNS + 1):
+        pairs = outsiders_with_pivots(last, comp, percent, turn) if turn < REST_TURNS else left_apart(last, comp, alone, percent)
+        some = s.save(likely(pairs, codes, agree), f"rest-{turn}")
+        more = s.save(confirmed(some, sets, percent), f"edges-{turn + 3}")
+        edges = edges.union(more)
+        comp = s.save(components(edges, s, f"comp-{turn + 3}"), f"known-{turn + 3}")
+    return edges, comp
+
+
+def named_members(last: DataFrame, comp: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """(members with their component, nodes with their largest component) for nodes of several components."""
+    named = last.join(comp.select(F.col("id").alias("rep"), "component"), "rep", "left").select("node", "rep", "n", F.coalesce("component", "rep").alias("c"))
     per = named.groupBy("node", "c").agg(F.count("*").alias("m"))
     top = per.groupBy("node").agg(F.max(F.struct("m", "c")).alias("v"), F.count("*").alias("k")).filter("k > 1").select("node", F.col("v.c").alias("top"))
-    outside = named.join(top, "node").filter("c <> top").select("node", F.col("rep").alias("x"), F.col("n").alias("nx"), F.col("c").alias("cx"))
-    all_of = named.join(top, "node", "left_semi").select("node", F.col("rep").alias("y"), F.col("n").alias("ny"), F.col("c").alias("cy"))
-    return outside.join(all_of, "node").filter((F.col("cx") != F.col("cy")) & like_sizes("nx", "ny", percent)).select(*ordered("x", "y")).distinct()
+    return named, top
+
+
+def outsiders_with_pivots(last: DataFrame, comp: DataFrame, percent: int, turn: int) -> DataFrame:
+    """Members outside a node's largest component, each with a few members of it."""
+    named, top = named_members(last, comp)
+    named = named.join(top, "node")
+    draw = F.xxhash64("rep", F.lit(turn))
+    pivots = named.filter("c = top").groupBy("node", F.pmod(draw, F.lit(REST_PIVOTS)).alias("k")).agg(F.min(F.struct(draw.alias("d"), "rep", "n")).alias("v"))
+    pivots = pivots.select("node", F.col("v.rep").alias("y"), F.col("v.n").alias("ny"))
+    outside = named.filter("c <> top").select("node", F.col("rep").alias("x"), F.col("n").alias("nx"))
+    return outside.join(pivots, "node").filter(like_sizes("nx", "ny", percent)).select(*ordered("x", "y")).distinct()
+
+
+def unshared(last: DataFrame, sets: DataFrame) -> DataFrame:
+    """(rep, u): how many shingles of a member no other member of any of these nodes has."""
+    members = last.select("rep").distinct()
+    items = members.join(sets.select(F.col("doc_id").alias("rep"), "items"), "rep").select("rep", F.explode("items").alias("item"))
+    once = items.groupBy("item").agg(F.count("*").alias("k"), F.min("rep").alias("rep")).filter("k = 1")
+    counted = once.groupBy("rep").agg(F.count("*").alias("u"))
+    return members.join(counted, "rep", "left").select("rep", F.coalesce("u", F.lit(0)).alias("u"))
+
+
+def left_apart(last: DataFrame, comp: DataFrame, alone: DataFrame, percent: int) -> DataFrame:
+    """Members outside the node's largest component with all others that they could be linked with.
+
+    A shared set can't hold what one side shares with nobody, which bounds the similarity of a pair
+    exactly; copies with scattered edits of their own are told apart by it before they are paired.
+    """
+    named, top = named_members(last, comp)
+    could = F.col("n") - F.col("u")
+    named = named.join(top, "node").join(alone, "rep").withColumn("s", could).filter(F.col("s") * 100 >= F.col("n") * percent)
+    outside = named.filter("c <> top").select("node", F.col("rep").alias("x"), F.col("n").alias("nx"), F.col("s").alias("sx"), F.col("c").alias("cx"))
+    all_of = named.select("node", F.col("rep").alias("y"), F.col("n").alias("ny"), F.col("s").alias("sy"), F.col("c").alias("cy"))
+    shared = F.least("sx", "sy")
+    bound = shared * 100 >= (F.col("nx") + F.col("ny") - shared) * percent
+    return outside.join(all_of, "node").filter((F.col("cx") != F.col("cy")) & bound).select(*ordered("x", "y")).distinct()
 
 
 def query(spark, sf_dir: str) -> DataFrame:
