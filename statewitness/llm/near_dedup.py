@@ -43,7 +43,8 @@ POSITIONS = 64
 LEAF = 24
 LEVELS = 10
 PIVOTS = 3
-REST_TURNS, REST_PIVOTS = 2, 6
+REST_TURNS, REST_PIVOTS = 1, 6
+RARE = 16
 TARGET_RECALL = 0.9999999
 FAMILY_SEED = 502
 
@@ -287,9 +288,13 @@ def not_connected(pairs: DataFrame, comp: DataFrame) -> DataFrame:
 
 def join_the_rest(s: Scratch, last: DataFrame, edges: DataFrame, comp: DataFrame, codes: DataFrame, sets: DataFrame, agree: int, percent: int) -> tuple[DataFrame, DataFrame]:
     """Links in nodes that stayed large: first to members of the node's largest component, then in full."""
-    alone = unshared(last, sets)
+    rare = s.save(rare_items(last, sets), "rare")
+    counts = rare.groupBy("rep").agg(F.count("*").alias("rare"))
     for turn in range(REST_TURNS + 1):
-        pairs = outsiders_with_pivots(last, comp, percent, turn) if turn < REST_TURNS else left_apart(last, comp, alone, percent)
+        if turn < REST_TURNS:
+            pairs = outsiders_with_pivots(last, comp, percent, turn)
+        else:
+            pairs = left_apart(last, comp, counts, percent).union(sharing_rare(rare, comp, percent)).distinct()
         some = s.save(likely(pairs, codes, agree), f"rest-{turn}")
         more = s.save(confirmed(some, sets, percent), f"edges-{turn + 3}")
         edges = edges.union(more)
@@ -316,24 +321,31 @@ def outsiders_with_pivots(last: DataFrame, comp: DataFrame, percent: int, turn:
     return outside.join(pivots, "node").filter(like_sizes("nx", "ny", percent)).select(*ordered("x", "y")).distinct()
 
 
-def unshared(last: DataFrame, sets: DataFrame) -> DataFrame:
-    """(rep, u): how many shingles of a member no other member of any of these nodes has."""
-    members = last.select("rep").distinct()
-    items = members.join(sets.select(F.col("doc_id").alias("rep"), "items"), "rep").select("rep", F.explode("items").alias("item"))
-    once = items.groupBy("item").agg(F.count("*").alias("k"), F.min("rep").alias("rep")).filter("k = 1")
-    counted = once.groupBy("rep").agg(F.count("*").alias("u"))
-    return members.join(counted, "rep", "left").select("rep", F.coalesce("u", F.lit(0)).alias("u"))
+def rare_items(last: DataFrame, sets: DataFrame) -> DataFrame:
+    """(rep, n, item): shingles of members that at most RARE members of any of these nodes have."""
+    members = last.select("rep", "n").distinct()
+    items = members.join(sets.select(F.col("doc_id").alias("rep"), "items"), "rep").select("rep", "n", F.explode("items").alias("item"))
+    few = items.groupBy("item").agg(F.count("*").alias("k")).filter(F.col("k") <= RARE).select("item")
+    return items.join(few, "item")
 
 
-def left_apart(last: DataFrame, comp: DataFrame, alone: DataFrame, percent: int) -> DataFrame:
+def sharing_rare(rare: DataFrame, comp: DataFrame, percent: int) -> DataFrame:
+    """Pairs of members in different components that share a rare shingle (RARE members each at most)."""
+    x = rare.select("item", F.col("rep").alias("x"), F.col("n").alias("nx"))
+    y = rare.select("item", F.col("rep").alias("y"), F.col("n").alias("ny"))
+    pairs = x.join(y, "item").filter((F.col("x") < F.col("y")) & like_sizes("nx", "ny", percent)).select(*ordered("x", "y")).distinct()
+    return not_connected(pairs, comp)
+
+
+def left_apart(last: DataFrame, comp: DataFrame, rare_counts: DataFrame, percent: int) -> DataFrame:
     """Members outside the node's largest component with all others that they could be linked with.
 
-    A shared set can't hold what one side shares with nobody, which bounds the similarity of a pair
-    exactly; copies with scattered edits of their own are told apart by it before they are paired.
+    Two sets without a common rare shingle share at most the others of either side, which bounds their
+    similarity exactly; pairs with a common rare shingle are listed by it (``sharing_rare``).
     """
     named, top = named_members(last, comp)
-    could = F.col("n") - F.col("u")
-    named = named.join(top, "node").join(alone, "rep").withColumn("s", could).filter(F.col("s") * 100 >= F.col("n") * percent)
+    could = F.col("n") - F.col("rare")
+    named = named.join(top, "node").join(rare_counts, "rep", "left").fillna(0, ["rare"]).withColumn("s", could).filter(F.col("s") * 100 >= F.col("n") * percent)
     outside = named.filter("c <> top").select("node", F.col("rep").alias("x"), F.col("n").alias("nx"), F.col("s").alias("sx"), F.col("c").alias("cx"))
     all_of = named.select("node", F.col("rep").alias("y"), F.col("n").alias("ny"), F.col("s").alias("sy"), F.col("c").alias("cy"))
     shared = F.least("sx", "sy")
