@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from statewitness.llm import decontaminate, exact_dedup, near_dedup, packing, quality, sharding, substring_dedup, url_trust, web_archive
+from statewitness.llm import decontaminate, exact_dedup, line_dedup, near_dedup, packing, quality, sharding, substring_dedup, url_trust, web_archive
 
 
 def queries() -> dict:
@@ -12,6 +12,7 @@ def queries() -> dict:
         "op3_exact_dedup": exact_dedup.query,
         "op4_best_fit_packing": packing.query,
         "op5_minhash_near_dedup": near_dedup.query,
+        "op6_fuzzy_lines": line_dedup.query,
         "op7_url_trust": url_trust.query,
         "op8_shard_lookup": sharding.query,
         "op9_decontamination": decontaminate.query,
@@ -22,6 +23,7 @@ def queries() -> dict:
 def oracle_sql() -> dict:
     return {
         "op3_exact_dedup": exact_dedup.ORACLE,
+        "op6_fuzzy_lines": line_dedup.query,
         "op7_url_trust": url_trust.ORACLE,
         "op8_shard_lookup": sharding.oracle(),
     }
