@@ -2,10 +2,13 @@
 
 from __future__ import annotations
 
+from statewitness.plans import conformance_plans  # noqa: F401
+from statewitness.plans.base import ORACLES, QUERIES
+
 
 def queries() -> dict:
-    return {}
+    return dict(QUERIES)
 
 
 def oracle_sql() -> dict:
-    return {}
+    return dict(ORACLES)
