@@ -291,10 +291,11 @@ def join_the_rest(s: Scratch, last: DataFrame, edges: DataFrame, comp: DataFrame
     rare = s.save(rare_items(last, sets), "rare")
     counts = rare.groupBy("rep").agg(F.count("*").alias("rare"))
     for turn in range(REST_TURNS + 1):
+        named = s.save(named_members(last, comp), f"named-{turn}")
         if turn < REST_TURNS:
-            pairs = outsiders_with_pivots(last, comp, percent, turn)
+            pairs = outsiders_with_pivots(named, percent, turn)
         else:
-            pairs = left_apart(last, comp, counts, percent).union(sharing_rare(rare, comp, percent)).distinct()
+            pairs = left_apart(named, counts, percent).union(sharing_rare(rare, comp, percent)).distinct()
         some = s.save(likely(pairs, codes, agree), f"rest-{turn}")
         more = s.save(confirmed(some, sets, percent), f"edges-{turn + 3}")
         edges = edges.union(more)
@@ -302,18 +303,16 @@ def join_the_rest(s: Scratch, last: DataFrame, edges: DataFrame, comp: DataFrame
     return edges, comp
 
 
-def named_members(last: DataFrame, comp: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """(members with their component, nodes with their largest component) for nodes of several components."""
+def named_members(last: DataFrame, comp: DataFrame) -> DataFrame:
+    """(node, rep, n, c, top) of nodes of several components: each member's component and the node's largest."""
     named = last.join(comp.select(F.col("id").alias("rep"), "component"), "rep", "left").select("node", "rep", "n", F.coalesce("component", "rep").alias("c"))
     per = named.groupBy("node", "c").agg(F.count("*").alias("m"))
     top = per.groupBy("node").agg(F.max(F.struct("m", "c")).alias("v"), F.count("*").alias("k")).filter("k > 1").select("node", F.col("v.c").alias("top"))
-    return named, top
+    return named.join(top, "node")
 
 
-def outsiders_with_pivots(last: DataFrame, comp: DataFrame, percent: int, turn: int) -> DataFrame:
+def outsiders_with_pivots(named: DataFrame, percent: int, turn: int) -> DataFrame:
     """Members outside a node's largest component, each with a few members of it."""
-    named, top = named_members(last, comp)
-    named = named.join(top, "node")
     draw = F.xxhash64("rep", F.lit(turn))
     pivots = named.filter("c = top").groupBy("node", F.pmod(draw, F.lit(REST_PIVOTS)).alias("k")).agg(F.min(F.struct(draw.alias("d"), "rep", "n")).alias("v"))
     pivots = pivots.select("node", F.col("v.rep").alias("y"), F.col("v.n").alias("ny"))
@@ -337,15 +336,14 @@ def sharing_rare(rare: DataFrame, comp: DataFrame, percent: int) -> DataFrame:
     return not_connected(pairs, comp)
 
 
-def left_apart(last: DataFrame, comp: DataFrame, rare_counts: DataFrame, percent: int) -> DataFrame:
+def left_apart(named: DataFrame, rare_counts: DataFrame, percent: int) -> DataFrame:
     """Members outside the node's largest component with all others that they could be linked with.
 
     Two sets without a common rare shingle share at most the others of either side, which bounds their
     similarity exactly; pairs with a common rare shingle are listed by it (``sharing_rare``).
     """
-    named, top = named_members(last, comp)
     could = F.col("n") - F.col("rare")
-    named = named.join(top, "node").join(rare_counts, "rep", "left").fillna(0, ["rare"]).withColumn("s", could).filter(F.col("s") * 100 >= F.col("n") * percent)
+    named = named.join(rare_counts, "rep", "left").fillna(0, ["rare"]).withColumn("s", could).filter(F.col("s") * 100 >= F.col("n") * percent)
     outside = named.filter("c <> top").select("node", F.col("rep").alias("x"), F.col("n").alias("nx"), F.col("s").alias("sx"), F.col("c").alias("cx"))
     all_of = named.select("node", F.col("rep").alias("y"), F.col("n").alias("ny"), F.col("s").alias("sy"), F.col("c").alias("cy"))
     shared = F.least("sx", "sy")
