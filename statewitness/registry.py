@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from statewitness.plans import conformance_plans, replay_plans, trace_plans  # noqa: F401
+from statewitness.plans import conformance_plans, measure_plans, replay_plans, trace_plans  # noqa: F401
 from statewitness.plans.base import ORACLES, QUERIES
 
 
