@@ -9,7 +9,7 @@ import pyarrow as pa
 import pyarrow.compute as pc
 
 #: Text bytes handled at once; numpy temporaries are some tens of times this.
-CHUNK_BYTES = 2_000_000
+CHUNK_BYTES = 500_000
 
 
 def text_buffers(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:

@@ -29,7 +29,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from statewitness.llm.arrow_text import chunks, column, text_buffers
-from statewitness.llm.wordhash import Family, find_words, inside
+from statewitness.llm.wordhash import family, find_words, inside
 
 SEED_WORDS = 4
 STRETCH = 4
@@ -74,15 +74,15 @@ class Items:
 
 
 def read_items(rows: list[tuple], n: int) -> Items:
-    family = Family(FAMILY_SEED)
+    hashes = family(FAMILY_SEED)
     out = Items([], [], np.zeros(0, np.uint64), np.zeros(0, np.int64), np.zeros(0, np.int64))
     grams, items, places = [], [], []
     for item_id, text in rows:
         w = find_words(*text_buffers(pc.utf8_lower(pa.array([text], pa.string()))))
         if len(w.starts) < max(MIN_WORDS, n):
             continue
-        h = family.word_hashes(w.raw, w.starts, w.ends)
-        g = family.grams(h, n)
+        h = hashes.word_hashes(w.raw, w.starts, w.ends)
+        g = hashes.grams(h, n)
         grams.append(g)
         items.append(np.full(len(g), len(out.ids)))
         places.append(np.arange(len(g)))
@@ -132,14 +132,14 @@ def merged(spans: list[tuple[int, int]]) -> list[tuple[int, int]]:
 
 def count_grams(shared, n: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        family, lookup = Family(FAMILY_SEED), shared.value
+        hashes, lookup = family(FAMILY_SEED), shared.value
         total, rows = np.zeros(len(lookup.keys), np.int64), 0
         for whole in batches:
             for batch in chunks(whole):
                 rows += batch.num_rows
                 w = find_words(*text_buffers(pc.utf8_lower(column(batch, "text"))))
-                h = family.word_hashes(w.raw, w.starts, w.ends)
-                at, key = lookup.find(family.grams(h, n), inside(w, n))
+                h = hashes.word_hashes(w.raw, w.starts, w.ends)
+                at, key = lookup.find(hashes.grams(h, n), inside(w, n))
                 pairs = np.unique(w.doc_of[at] * len(lookup.keys) + key) if len(at) else at
                 np.add.at(total, pairs % max(1, len(lookup.keys)), 1)
         some = np.flatnonzero(total)
@@ -156,7 +156,7 @@ def align(shared, n: int, threshold: float):
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         lookup, first, item_of, pos_of, items = shared.value
-        family = Family(FAMILY_SEED)
+        hashes = family(FAMILY_SEED)
         memory: dict[tuple[int, bytes], tuple[int, int, int]] = {}
 
         def best(item: int, passage: np.ndarray) -> tuple[int, int, int]:
@@ -177,8 +177,8 @@ def align(shared, n: int, threshold: float):
             out: list[tuple] = []
             for batch in chunks(whole):
                 w = find_words(*text_buffers(pc.utf8_lower(column(batch, "text"))))
-                h = family.word_hashes(w.raw, w.starts, w.ends)
-                at, key = lookup.find(family.grams(h, n), inside(w, n))
+                h = hashes.word_hashes(w.raw, w.starts, w.ends)
+                at, key = lookup.find(hashes.grams(h, n), inside(w, n))
                 if not len(at):
                     continue
                 doc_of, ids = w.doc_of, column(batch, "doc_id").to_pylist()

@@ -23,7 +23,6 @@ def queries() -> dict:
 def oracle_sql() -> dict:
     return {
         "op3_exact_dedup": exact_dedup.ORACLE,
-        "op6_fuzzy_lines": line_dedup.query,
         "op7_url_trust": url_trust.ORACLE,
         "op8_shard_lookup": sharding.oracle(),
     }

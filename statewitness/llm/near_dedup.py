@@ -37,7 +37,7 @@ from statewitness.llm.arrow_text import chunks, column, text_buffers
 from statewitness.llm.bounded import BROADCAST_KEYS, keep_keys
 from statewitness.llm.components import components
 from statewitness.llm.scratch import Scratch
-from statewitness.llm.wordhash import Family, find_words, mix
+from statewitness.llm.wordhash import family, find_words, mix
 
 POSITIONS = 64
 LEAF = 24
@@ -54,14 +54,14 @@ FAMILY_SEED = 502
 
 def sets_of(batch: pa.RecordBatch, words_each: int) -> tuple[np.ndarray, np.ndarray]:
     """(hashes, bounds): the sorted distinct shingle hashes of every text of a batch, end to end."""
-    family = Family(FAMILY_SEED, fold_case=True)
+    hashes = family(FAMILY_SEED, fold_case=True)
     w = find_words(*text_buffers(column(batch, "text")))
-    h = family.word_hashes(w.raw, w.starts, w.ends)
+    h = hashes.word_hashes(w.raw, w.starts, w.ends)
     n = np.diff(w.docs)
     take = np.where(n >= words_each, n - words_each + 1, np.minimum(n, 1))
     at = np.repeat(w.docs[:-1], take) + (np.arange(take.sum()) - np.repeat(np.cumsum(take) - take, take))
     end = np.minimum(at + words_each, np.repeat(w.docs[1:], take))
-    grams = family.spans(h, at, end)
+    grams = hashes.spans(h, at, end)
     parts, size, lo = [], np.zeros(len(n), np.int64), 0
     for i, k in enumerate(take.tolist()):
         x = np.sort(grams[lo : lo + k])

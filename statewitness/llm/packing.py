@@ -37,8 +37,8 @@ from statewitness.llm.scratch import Scratch
 CAPACITY = 2048
 END_ID = 0
 NODE_LIMIT = 20_000
-#: Words whose ids a worker remembers; beyond it the memory is emptied.
-WORD_MEMORY = 1_000_000
+#: Words whose ids a worker remembers; the half that was not asked for lately goes first.
+WORD_MEMORY = 300_000
 
 
 # --- token ids -------------------------------------------------------------------------------------
@@ -61,11 +61,16 @@ class WordIds(dict):
 
         super().__init__()
         self.tokenizer = Tokenizer.from_file(path)
+        self.older: dict[bytes, bytes] = {}
 
     def __missing__(self, word: bytes) -> bytes:
-        if len(self) >= WORD_MEMORY:
+        if len(self) >= WORD_MEMORY // 2:
+            self.older = dict(self)
             self.clear()
-        self[word] = ids = np.array(self.tokenizer.encode(word.decode(), add_special_tokens=False).ids, "<u4").tobytes()
+        ids = self.older.get(word)
+        if ids is None:
+            ids = np.array(self.tokenizer.encode(word.decode(), add_special_tokens=False).ids, "<u4").tobytes()
+        self[word] = ids
         return ids
 
     def encode(self, text: str | None) -> bytes:

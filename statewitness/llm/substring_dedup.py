@@ -33,7 +33,7 @@ from statewitness.llm.arrow_text import chunks, column, text_buffers
 from statewitness.llm.bounded import BROADCAST_KEYS, keep_keys
 from statewitness.llm.fingerprint_index import FingerprintIndex
 from statewitness.llm.scratch import Scratch
-from statewitness.llm.wordhash import Family, find_words
+from statewitness.llm.wordhash import family, find_words
 
 WINDOW, GRAM, BATCHES = 35, 8, 2
 GRAM_SEED, WINDOW_SEED = 201, 202
@@ -58,9 +58,9 @@ def fingerprints(grams: np.ndarray, width: int) -> tuple[np.ndarray, np.ndarray]
 
 def scan_grams(batch: pa.RecordBatch, window: int, gram: int):
     """(row, its words' range, its gram hashes) for each text with a window; the words of the batch first."""
-    family = Family(GRAM_SEED)
+    hashes = family(GRAM_SEED)
     w = find_words(*text_buffers(column(batch, "text")))
-    g = family.grams(family.word_hashes(w.raw, w.starts, w.ends), gram)
+    g = hashes.grams(hashes.word_hashes(w.raw, w.starts, w.ends), gram)
     rows = np.flatnonzero(np.diff(w.docs) >= window)
     return w, [(int(i), int(w.docs[i]), int(w.docs[i + 1]), g[w.docs[i] : w.docs[i + 1] - gram + 1]) for i in rows]
 
@@ -94,11 +94,11 @@ def read_stretches(window: int, gram: int):
     """Stretches of windows whose fingerprint is among the text's ``gs``: place, hash, and each window's hash."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        family = Family(WINDOW_SEED)
+        hashes = family(WINDOW_SEED)
         for whole in batches:
             for batch in chunks(whole):
                 w, texts = scan_grams(batch, window, gram)
-                h = family.word_hashes(w.raw, w.starts, w.ends)
+                h = hashes.word_hashes(w.raw, w.starts, w.ends)
                 uids, wanted = column(batch, "uid").to_numpy(), column(batch, "gs")
                 parts: list[tuple] = []
                 for i, lo, hi, grams in texts:
@@ -111,9 +111,9 @@ def read_stretches(window: int, gram: int):
                 if not parts:
                     continue
                 uid, at, length, g, lo = (np.concatenate(x) for x in zip(*parts))
-                span = family.spans(h, at, at + length + window - 1)
+                span = hashes.spans(h, at, at + length + window - 1)
                 inner = np.repeat(at, length) + (np.arange(length.sum()) - np.repeat(np.cumsum(length) - length, length))
-                each = family.spans(h, inner, inner + window).view(np.int64)
+                each = hashes.spans(h, inner, inner + window).view(np.int64)
                 lists = pa.ListArray.from_arrays(pa.array(np.r_[0, np.cumsum(length)].astype(np.int32)), pa.array(each))
                 yield pa.RecordBatch.from_arrays(
                     [pa.array(uid), pa.array((at - lo).astype(np.int64)), pa.array(length.astype(np.int32)), pa.array(g.view(np.int64)), pa.array(span.view(np.int64)), lists],

@@ -9,6 +9,7 @@ independent seeds give 128 bits.
 from __future__ import annotations
 
 from dataclasses import dataclass
+from functools import lru_cache
 
 import numpy as np
 
@@ -74,6 +75,12 @@ class Family:
         return self.spans(hashes, at, at + n)
 
 
+@lru_cache(8)
+def family(seed: int, fold_case: bool = False) -> Family:
+    """The family of a seed, made once in a worker."""
+    return Family(seed, fold_case)
+
+
 @dataclass
 class Words:
     """Words of a batch: byte bounds, and for each text the range of its words."""
