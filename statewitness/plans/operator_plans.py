@@ -121,17 +121,17 @@ op("approx_topk", None)(lambda s, d: (load(s, d, "events").createOrReplaceTempVi
 
 # --- windows, sort, sets ----------------------------------------------------------------------------
 
-users = Window.partitionBy("user_id").orderBy("event_id")
-byv = Window.partitionBy("event_type").orderBy("user_id")
+users = lambda: Window.partitionBy("user_id").orderBy("event_id")  # noqa: E731  made when asked for: there may be no session at import
+byv = lambda: Window.partitionBy("event_type").orderBy("user_id")
 events_of = lambda s, d: load(s, d, "events").select("event_id", "user_id", "event_type", "ts")
-op("win_rank", "SELECT event_id, rank() OVER w AS r, dense_rank() OVER w AS dr, row_number() OVER (PARTITION BY event_type ORDER BY user_id, event_id) AS rn FROM events WINDOW w AS (PARTITION BY event_type ORDER BY user_id)")(lambda s, d: events_of(s, d).select("event_id", F.rank().over(byv).alias("r"), F.dense_rank().over(byv).alias("dr"), F.row_number().over(Window.partitionBy("event_type").orderBy("user_id", "event_id")).alias("rn")))
-op("win_percent", "SELECT event_id, round(percent_rank() OVER w, 6) AS pr, round(cume_dist() OVER w, 6) AS cd FROM events WINDOW w AS (PARTITION BY event_type ORDER BY user_id)")(lambda s, d: events_of(s, d).select("event_id", F.round(F.percent_rank().over(byv), 6).alias("pr"), F.round(F.cume_dist().over(byv), 6).alias("cd")))
-op("win_ntile", "SELECT event_id, ntile(4) OVER (PARTITION BY user_id ORDER BY event_id) AS q FROM events")(lambda s, d: events_of(s, d).select("event_id", F.ntile(4).over(users).alias("q")))
-op("win_lag_lead", "SELECT event_id, lag(event_type) OVER w AS before, lead(event_type, 2) OVER w AS after FROM events WINDOW w AS (PARTITION BY user_id ORDER BY event_id)")(lambda s, d: events_of(s, d).select("event_id", F.lag("event_type").over(users).alias("before"), F.lead("event_type", 2).over(users).alias("after")))
-whole = users.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
-op("win_first_last", "SELECT event_id, first_value(event_type) OVER w AS f, last_value(event_type) OVER w AS l FROM events WINDOW w AS (PARTITION BY user_id ORDER BY event_id ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING)")(lambda s, d: events_of(s, d).select("event_id", F.first("event_type").over(whole).alias("f"), F.last("event_type").over(whole).alias("l")))
-op("win_nth", "SELECT event_id, nth_value(event_type, 3) OVER w AS third FROM events WINDOW w AS (PARTITION BY user_id ORDER BY event_id ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING)")(lambda s, d: events_of(s, d).select("event_id", F.nth_value("event_type", 3).over(whole).alias("third")))
-op("win_rows_frame", "SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY event_id ROWS BETWEEN 2 PRECEDING AND CURRENT ROW) AS n FROM events")(lambda s, d: events_of(s, d).select("event_id", F.count("*").over(users.rowsBetween(-2, 0)).alias("n")))
+op("win_rank", "SELECT event_id, rank() OVER w AS r, dense_rank() OVER w AS dr, row_number() OVER (PARTITION BY event_type ORDER BY user_id, event_id) AS rn FROM events WINDOW w AS (PARTITION BY event_type ORDER BY user_id)")(lambda s, d: events_of(s, d).select("event_id", F.rank().over(byv()).alias("r"), F.dense_rank().over(byv()).alias("dr"), F.row_number().over(Window.partitionBy("event_type").orderBy("user_id", "event_id")).alias("rn")))
+op("win_percent", "SELECT event_id, round(percent_rank() OVER w, 6) AS pr, round(cume_dist() OVER w, 6) AS cd FROM events WINDOW w AS (PARTITION BY event_type ORDER BY user_id)")(lambda s, d: events_of(s, d).select("event_id", F.round(F.percent_rank().over(byv()), 6).alias("pr"), F.round(F.cume_dist().over(byv()), 6).alias("cd")))
+op("win_ntile", "SELECT event_id, ntile(4) OVER (PARTITION BY user_id ORDER BY event_id) AS q FROM events")(lambda s, d: events_of(s, d).select("event_id", F.ntile(4).over(users()).alias("q")))
+op("win_lag_lead", "SELECT event_id, lag(event_type) OVER w AS before, lead(event_type, 2) OVER w AS after FROM events WINDOW w AS (PARTITION BY user_id ORDER BY event_id)")(lambda s, d: events_of(s, d).select("event_id", F.lag("event_type").over(users()).alias("before"), F.lead("event_type", 2).over(users()).alias("after")))
+whole = lambda: users().rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
+op("win_first_last", "SELECT event_id, first_value(event_type) OVER w AS f, last_value(event_type) OVER w AS l FROM events WINDOW w AS (PARTITION BY user_id ORDER BY event_id ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING)")(lambda s, d: events_of(s, d).select("event_id", F.first("event_type").over(whole()).alias("f"), F.last("event_type").over(whole()).alias("l")))
+op("win_nth", "SELECT event_id, nth_value(event_type, 3) OVER w AS third FROM events WINDOW w AS (PARTITION BY user_id ORDER BY event_id ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING)")(lambda s, d: events_of(s, d).select("event_id", F.nth_value("event_type", 3).over(whole()).alias("third")))
+op("win_rows_frame", "SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY event_id ROWS BETWEEN 2 PRECEDING AND CURRENT ROW) AS n FROM events")(lambda s, d: events_of(s, d).select("event_id", F.count("*").over(users().rowsBetween(-2, 0)).alias("n")))
 op("win_range_interval", "SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY ts RANGE BETWEEN INTERVAL 1 DAY PRECEDING AND CURRENT ROW) AS n FROM events")(lambda s, d: (events_of(s, d).createOrReplaceTempView("range_events"), s.sql("SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY ts RANGE BETWEEN INTERVAL 1 DAY PRECEDING AND CURRENT ROW) AS n FROM range_events"))[1])
 op("topk_global", "SELECT o_orderkey FROM orders ORDER BY o_totalprice DESC, o_orderkey LIMIT 10")(lambda s, d: load(s, d, "orders").orderBy(F.desc("o_totalprice"), "o_orderkey").limit(10).select("o_orderkey"))
 op("topk_group", "SELECT o_orderkey, k FROM (SELECT o_orderkey, row_number() OVER (PARTITION BY o_custkey ORDER BY o_totalprice DESC, o_orderkey) AS k FROM orders) WHERE k <= 2")(lambda s, d: load(s, d, "orders").select("o_orderkey", F.row_number().over(Window.partitionBy("o_custkey").orderBy(F.desc("o_totalprice"), "o_orderkey")).alias("k")).filter("k <= 2"))
