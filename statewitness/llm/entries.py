@@ -22,6 +22,8 @@ def queries() -> dict:
 
 def oracle_sql() -> dict:
     return {
+        "op2_substring_dedup": substring_dedup.ORACLE,
+        "op10_arc_to_warc": web_archive.ORACLE,
         "op3_exact_dedup": exact_dedup.ORACLE,
         "op7_url_trust": url_trust.ORACLE,
         "op8_shard_lookup": sharding.oracle(),

@@ -339,3 +339,12 @@ def archive_report(pages: DataFrame, min_bytes: int = 0, version: int = 1, per_f
 
 def query(spark, sf_dir: str) -> DataFrame:
     return archive_report(spark.read.parquet(f"{sf_dir}/pages.parquet").select("page_id", "url", "html"))
+
+
+ORACLE = r"""
+WITH h AS (SELECT page_id, strlen(coalesce(html, '')) AS payload_bytes, sha1(coalesce(html, '')) AS x FROM pages),
+v AS (SELECT page_id, payload_bytes, list_transform(range(8), lambda k: ('0x' || substr(x, 1 + 5 * k, 5))::BIGINT) AS fives FROM h),
+d AS (SELECT page_id, payload_bytes, array_to_string(list_transform(fives, lambda n: array_to_string(list_transform([15, 10, 5, 0], lambda b: substr('ABCDEFGHIJKLMNOPQRSTUVWXYZ234567', (((n >> b) & 31) + 1)::INTEGER, 1)), '')), '') AS payload_digest FROM v),
+m AS (SELECT *, max(page_id) OVER (PARTITION BY payload_digest, payload_bytes) AS top FROM d)
+SELECT page_id, payload_bytes::BIGINT AS payload_bytes, payload_digest, CASE WHEN page_id = top THEN 'response' ELSE 'revisit' END AS record_type, CASE WHEN page_id <> top THEN top END AS refers_to FROM m
+"""
