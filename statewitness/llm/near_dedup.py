@@ -41,7 +41,7 @@ from statewitness.llm.wordhash import family, find_words, mix
 
 POSITIONS = 64
 LEAF = 24
-LEVELS = 10
+LEVELS = 6
 PIVOTS = 3
 REST_TURNS, REST_PIVOTS = 1, 6
 RARE = 16
@@ -291,7 +291,7 @@ def join_the_rest(s: Scratch, last: DataFrame, edges: DataFrame, comp: DataFrame
     rare = s.save(rare_items(last, sets), "rare")
     counts = rare.groupBy("rep").agg(F.count("*").alias("rare"))
     for turn in range(REST_TURNS + 1):
-        named = s.save(named_members(last, comp), f"named-{turn}")
+        named = named_members(s, last, comp, f"named-{turn}")
         if turn < REST_TURNS:
             pairs = outsiders_with_pivots(named, percent, turn)
         else:
@@ -303,9 +303,10 @@ def join_the_rest(s: Scratch, last: DataFrame, edges: DataFrame, comp: DataFrame
     return edges, comp
 
 
-def named_members(last: DataFrame, comp: DataFrame) -> DataFrame:
+def named_members(s: Scratch, last: DataFrame, comp: DataFrame, name: str) -> DataFrame:
     """(node, rep, n, c, top) of nodes of several components: each member's component and the node's largest."""
     named = last.join(comp.select(F.col("id").alias("rep"), "component"), "rep", "left").select("node", "rep", "n", F.coalesce("component", "rep").alias("c"))
+    named = s.save(named, name)
     per = named.groupBy("node", "c").agg(F.count("*").alias("m"))
     top = per.groupBy("node").agg(F.max(F.struct("m", "c")).alias("v"), F.count("*").alias("k")).filter("k > 1").select("node", F.col("v.c").alias("top"))
     return named.join(top, "node")
