@@ -96,8 +96,9 @@ def read_items(rows: list[tuple], n: int) -> Items:
 def choose_seeds(items: Items, keys: np.ndarray, docs_with: np.ndarray, n_docs: int) -> np.ndarray:
     """Which of the items' n-grams are seeds: the rare ones, and the rarest of each stretch."""
     df = docs_with[np.searchsorted(keys, items.gram)]
-    seed = df <= RARE_SHARE * n_docs
-    order = np.lexsort((items.pos, df, items.pos // STRETCH, items.item))
+    there = df > 0  # an n-gram that no document has finds nothing
+    seed = there & (df <= max(1, RARE_SHARE * n_docs))
+    order = np.lexsort((items.pos, df, ~there, items.pos // STRETCH, items.item))
     group = np.stack([items.item[order], items.pos[order] // STRETCH], 1)
     first = np.ones(len(order), bool)
     first[1:] = (group[1:] != group[:-1]).any(1)
