@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from statewitness.plans import conformance_plans, measure_plans, operator_plans, replay_plans, stream_plans, trace_plans  # noqa: F401
+from statewitness.plans import conformance_plans, extension_plans, measure_plans, operator_plans, replay_plans, stream_plans, trace_plans  # noqa: F401
 from statewitness.plans.base import ORACLES, QUERIES
 
 
