@@ -41,9 +41,9 @@ from statewitness.llm.wordhash import family, find_words, mix
 
 POSITIONS = 64
 LEAF = 24
-LEVELS = 6
+LEVELS = 4
 PIVOTS = 3
-REST_TURNS, REST_PIVOTS = 1, 6
+REST_TURNS, REST_PIVOTS = 0, 6
 RARE = 16
 TARGET_RECALL = 0.9999999
 FAMILY_SEED = 502
