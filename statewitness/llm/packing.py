@@ -38,7 +38,7 @@ CAPACITY = 2048
 END_ID = 0
 NODE_LIMIT = 20_000
 #: Words whose ids a worker remembers; the half that was not asked for lately goes first.
-WORD_MEMORY = 300_000
+WORD_MEMORY = 600_000
 
 
 # --- token ids -------------------------------------------------------------------------------------
