@@ -24,7 +24,7 @@ import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-MAX_ROWS = 12_000
+MAX_ROWS = 6_000
 TREES, DEPTH, RATE, BINS = 24, 3, 0.3, 32
 PENALTIES = (0.01, 0.004, 0.0015, 0.0006)
 KEEP_AT = 0.7
@@ -212,14 +212,15 @@ def fit(x: np.ndarray, y: np.ndarray) -> RuleModel:
         share = (float(y.mean()) if len(y) else 0.5) * 0.998 + 0.001
         return RuleModel(intercept=float(np.log(share / (1 - share))))
     rules = boosted_rules(x, y)
-    r = np.stack([rule.holds(x) for rule in rules], 1).astype(np.float64) if rules else np.zeros((len(y), 0))
+    r = np.stack([rule.holds(x) for rule in rules], 1).astype(np.float32) if rules else np.zeros((len(y), 0), np.float32)
     check = np.arange(len(y)) % 5 == 0
     share = y.mean()
     start = (np.zeros(r.shape[1]), float(np.log(share / (1 - share))))
     best, chosen, at = np.inf, PENALTIES[0], start
+    part, rest = r[~check], r[check]
     for penalty in PENALTIES:
-        at = lasso(r[~check], y[~check], penalty, at)
-        loss = log_loss(r[check], y[check], *at)
+        at = lasso(part, y[~check], penalty, at)
+        loss = log_loss(rest, y[check], *at)
         if loss < best * 0.98:  # a smaller penalty has to earn its rules
             best, chosen = loss, penalty
     w, b = lasso(r, y, chosen, start)
