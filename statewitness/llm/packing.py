@@ -38,7 +38,7 @@ CAPACITY = 2048
 END_ID = 0
 NODE_LIMIT = 20_000
 #: Words whose ids a worker remembers; the half that was not asked for lately goes first.
-WORD_MEMORY = 600_000
+WORD_MEMORY = 1_000_000
 
 
 # --- token ids -------------------------------------------------------------------------------------
@@ -55,16 +55,17 @@ class WordIds(dict):
     words' ids in order and one memory of words serves all texts.
     """
 
-    def __init__(self, path: str):
+    def __init__(self, path: str, memory: int = WORD_MEMORY):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
 
         super().__init__()
         self.tokenizer = Tokenizer.from_file(path)
         self.older: dict[bytes, bytes] = {}
+        self.memory = memory
 
     def __missing__(self, word: bytes) -> bytes:
-        if len(self) >= WORD_MEMORY // 2:
+        if len(self) >= self.memory // 2:
             self.older = dict(self)
             self.clear()
         ids = self.older.get(word)
@@ -82,21 +83,22 @@ class WordIds(dict):
 _ENCODERS: dict[str, WordIds] = {}
 
 
-def encoder(path: str) -> WordIds:
+def encoder(path: str, memory: int) -> WordIds:
     if path not in _ENCODERS:
-        _ENCODERS[path] = WordIds(path)
+        _ENCODERS[path] = WordIds(path, memory)
+    _ENCODERS[path].memory = memory
     return _ENCODERS[path]
 
 
 PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long, part int, rank long"
 
 
-def cut_pieces(path: str, capacity: int, end_id: int):
+def cut_pieces(path: str, capacity: int, end_id: int, memory: int):
     """Batches of (doc_id, text) to pieces, with the partition and the running number within a length."""
     end = np.array([end_id], "<u4").tobytes()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        words, part, seen = encoder(path), TaskContext.get().partitionId(), np.zeros(capacity + 1, np.int64)
+        words, part, seen = encoder(path, memory), TaskContext.get().partitionId(), np.zeros(capacity + 1, np.int64)
         for whole in batches:
             for lo in range(0, whole.num_rows, 500):
                 batch = whole.slice(lo, 500)
@@ -331,11 +333,11 @@ def place(table):
     return run
 
 
-def pack(docs: DataFrame, tokenizer_path: str, capacity: int = CAPACITY, end_id: int = END_ID, node_limit: int = NODE_LIMIT) -> DataFrame:
+def pack(docs: DataFrame, tokenizer_path: str, capacity: int = CAPACITY, end_id: int = END_ID, node_limit: int = NODE_LIMIT, word_memory: int = WORD_MEMORY) -> DataFrame:
     """One row per piece of every document: where it starts, how long it is, and where it was packed."""
     spark = docs.sparkSession
     s = Scratch(spark)
-    pieces = s.save(docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(cut_pieces(tokenizer_path, capacity, end_id), PIECES), "pieces", keep=True)
+    pieces = s.save(docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(cut_pieces(tokenizer_path, capacity, end_id, word_memory), PIECES), "pieces", keep=True)
     per_part = s.save(pieces.groupBy("length", "part").agg(F.count("*").alias("n")), "per_part", keep=True)
     counts = np.zeros(capacity + 1, np.int64)
     for row in per_part.groupBy("length").agg(F.sum("n").alias("n")).collect():  # one row for each length, at most ``capacity``
