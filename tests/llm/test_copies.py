@@ -205,3 +205,25 @@ def test_fuzzy_lines(spark, monkeypatch):
     got = line_dedup.dedup_lines(frame(spark, texts)).collect()
     assert {x["doc_id"]: (x["n_lines"], x["n_removed"], x["kept_sha256"]) for x in got} == dict(enumerate(lines_brute(texts)))
     assert line_dedup.dedup_lines(spark.createDataFrame([], EMPTY)).count() == 0
+
+
+def test_edited_copies_of_one_line(spark):
+    """A hot group at the default leaf size: pairs that are not alike to a pivot, also outside the largest component."""
+    r, words = random.Random(17), vocabulary(17)
+    line = lambda n: " ".join(r.choice(words) for _ in range(n))
+    base, head = line(24), line(14)
+
+    def edited(text, n):
+        out = list(text)
+        for _ in range(n):
+            out[r.randrange(len(out))] = r.choice("klmnopqrstuvwxyz")
+        return "".join(out)
+
+    lines = [edited(base, r.randint(2, 4)) for _ in range(500)]
+    for _ in range(40):  # one hot head, and tails of which two each are alike
+        tail = line(12)
+        lines += [f"{head} {tail}", f"{head} {edited(tail, 3)}"]
+    r.shuffle(lines)
+    texts = ["\n".join(lines[k : k + 10]) for k in range(0, len(lines), 10)]
+    got = line_dedup.dedup_lines(frame(spark, texts)).collect()
+    assert {x["doc_id"]: (x["n_lines"], x["n_removed"], x["kept_sha256"]) for x in got} == dict(enumerate(lines_brute(texts)))
