@@ -1,15 +1,14 @@
-"""Benchmark decontamination: rare n-gram seeds, then Smith-Waterman alignment of words.
+"""Benchmark decontamination: word n-gram seeds, plain and gapped, then Smith-Waterman alignment of words.
 
-1. One scan counts, over all documents, in how many each word n-gram of the test items occurs (partial
-   counts for each batch; the result has one row for each n-gram of the benchmark).
-2. Seeds are the n-grams that are rare in the corpus, and in every stretch of an item its rarest
-   n-gram whatever its count, so a passage that a third of all documents copy still has seeds.
-3. A second scan joins seeds to passages inside each text and aligns the words around them with the
+1. Every run of ``SEED_WORDS`` words of an item is a seed, however often documents have it, and so are two
+   words, any one word and two words again. So an edited copy is found by any three words in a row, or by
+   two pairs around one changed word.
+2. One scan joins seeds to passages inside each text and aligns the words around them with the
    item (local alignment, linear gaps). The score is the share of the item's own score; edited copies
-   keep most of it. Both scans are narrow: no text is shuffled.
+   keep most of it. The scan is narrow: no text is shuffled.
 
 The test items travel to the workers, so their size is checked; a larger benchmark is taken in blocks
-below the bound, each with its own two scans.
+below the bound, each with its own scan.
 
 Defined results: null or empty texts and items match nothing; items of fewer than ``MIN_WORDS`` words
 are too short to tell and match nothing; case is ignored; a repeated row is reported each time;
@@ -29,12 +28,11 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from statewitness.llm.arrow_text import chunks, column, text_buffers
-from statewitness.llm.wordhash import family, find_words, inside
+from statewitness.llm.wordhash import Family, Words, family, find_words, inside, mix
 
-SEED_WORDS = 4
-STRETCH = 4
-#: An n-gram in no more than this share of documents is rare.
-RARE_SHARE = 0.001
+SEED_WORDS = 3
+#: Words from the start of a gapped seed to its end.
+GAPPED_WORDS = 5
 MIN_WORDS = 5
 THRESHOLD = 0.5
 MATCH, MISMATCH, GAP = 2, -1, -1
@@ -62,9 +60,21 @@ class Lookup:
         return at[hit], k[hit]
 
 
+def gapped(hashes: Family, h: np.ndarray) -> np.ndarray:
+    """Hashes of the words at 0, 1, 3 and 4 from every position on (the caller masks those across texts)."""
+    pairs = hashes.grams(h, 2)
+    return mix(pairs[:-3] * np.uint64(3) + mix(pairs[3:])) if len(pairs) > 3 else np.zeros(0, np.uint64)
+
+
+def seed_hits(lookup: Lookup, hashes: Family, h: np.ndarray, w: Words, n: int) -> tuple[np.ndarray, np.ndarray]:
+    """(positions in the words, positions in the keys) of plain and gapped seeds."""
+    plain, spaced = lookup.find(hashes.grams(h, n), inside(w, n)), lookup.find(gapped(hashes, h), inside(w, GAPPED_WORDS))
+    return np.concatenate([plain[0], spaced[0]]), np.concatenate([plain[1], spaced[1]])
+
+
 @dataclass
 class Items:
-    """Test items as word hashes, and their n-grams: hash, item, position."""
+    """Test items as word hashes, and their seeds: hash, item, position."""
 
     ids: list
     words: list[np.ndarray]
@@ -82,10 +92,10 @@ def read_items(rows: list[tuple], n: int) -> Items:
         if len(w.starts) < max(MIN_WORDS, n):
             continue
         h = hashes.word_hashes(w.raw, w.starts, w.ends)
-        g = hashes.grams(h, n)
-        grams.append(g)
-        items.append(np.full(len(g), len(out.ids)))
-        places.append(np.arange(len(g)))
+        for g in (hashes.grams(h, n), gapped(hashes, h)):
+            grams.append(g)
+            items.append(np.full(len(g), len(out.ids)))
+            places.append(np.arange(len(g)))
         out.ids.append(item_id)
         out.words.append(h)
     if grams:
@@ -93,19 +103,6 @@ def read_items(rows: list[tuple], n: int) -> Items:
     return out
 
 
-def choose_seeds(items: Items, keys: np.ndarray, docs_with: np.ndarray, n_docs: int) -> np.ndarray:
-    """Which of the items' n-grams are seeds: the rare ones, and the rarest of each stretch."""
-    df = docs_with[np.searchsorted(keys, items.gram)]
-    there = df > 0  # an n-gram that no document has finds nothing
-    seed = there & (df <= max(1, RARE_SHARE * n_docs))
-    order = np.lexsort((items.pos, df, ~there, items.pos // STRETCH, items.item))
-    group = np.stack([items.item[order], items.pos[order] // STRETCH], 1)
-    first = np.ones(len(order), bool)
-    first[1:] = (group[1:] != group[:-1]).any(1)
-    seed[order[first]] = True
-    return seed
-
-
 def local_alignment(item: np.ndarray, passage: np.ndarray) -> tuple[int, int]:
     """Best local score of two word sequences and the end (exclusive) of the alignment in the passage."""
     steps = np.arange(len(passage)) * -GAP
@@ -131,24 +128,6 @@ def merged(spans: list[tuple[int, int]]) -> list[tuple[int, int]]:
     return [(a, b) for a, b in out]
 
 
-def count_grams(shared, n: int):
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        hashes, lookup = family(FAMILY_SEED), shared.value
-        total, rows = np.zeros(len(lookup.keys), np.int64), 0
-        for whole in batches:
-            for batch in chunks(whole):
-                rows += batch.num_rows
-                w = find_words(*text_buffers(pc.utf8_lower(column(batch, "text"))))
-                h = hashes.word_hashes(w.raw, w.starts, w.ends)
-                at, key = lookup.find(hashes.grams(h, n), inside(w, n))
-                pairs = np.unique(w.doc_of[at] * len(lookup.keys) + key) if len(at) else at
-                np.add.at(total, pairs % max(1, len(lookup.keys)), 1)
-        some = np.flatnonzero(total)
-        yield pa.RecordBatch.from_arrays([pa.array(np.r_[-1, some]), pa.array(np.r_[rows, total[some]])], names=["key", "n"])
-
-    return run
-
-
 MATCHES = "doc_id long, item int, score double, start_word long, end_word long"
 
 
@@ -179,17 +158,17 @@ def align(shared, n: int, threshold: float):
             for batch in chunks(whole):
                 w = find_words(*text_buffers(pc.utf8_lower(column(batch, "text"))))
                 h = hashes.word_hashes(w.raw, w.starts, w.ends)
-                at, key = lookup.find(hashes.grams(h, n), inside(w, n))
+                at, key = seed_hits(lookup, hashes, h, w, n)
                 if not len(at):
                     continue
-                doc_of, ids = w.doc_of, column(batch, "doc_id").to_pylist()
+                ids = column(batch, "doc_id").to_pylist()
+                many = first[key + 1] - first[key]
+                e = np.repeat(first[key + 1] - np.cumsum(many), many) + np.arange(many.sum())
+                hits = np.unique(np.stack([w.doc_of[np.repeat(at, many)], item_of[e], np.repeat(at, many) - pos_of[e]], 1), axis=0)
                 spans: dict[tuple[int, int], list[tuple[int, int]]] = {}
-                for p, k in zip(at.tolist(), key.tolist()):
-                    d = int(doc_of[p])
-                    for e in range(first[k], first[k + 1]):
-                        size = len(items[item_of[e]])
-                        a = p - int(pos_of[e])
-                        spans.setdefault((d, int(item_of[e])), []).append((max(int(w.docs[d]), a - size // 2), min(int(w.docs[d + 1]), a + size + size // 2)))
+                for d, item, a in hits.tolist():
+                    size = len(items[item])
+                    spans.setdefault((d, item), []).append((max(int(w.docs[d]), a - size // 2), min(int(w.docs[d + 1]), a + size + size // 2)))
                 for (d, item), found in spans.items():
                     top = max(((*best(item, h[a:b]), a) for a, b in merged(found)), key=lambda x: (x[0], -x[3]))
                     score = top[0] / (MATCH * len(items[item]))
@@ -226,15 +205,10 @@ def find_leaks(
         items = read_items([tuple(r) for r in block.collect()], n)  # at most block_bytes, as checked
         if not items.ids:
             continue
-        lookup = Lookup(items.gram)
-        counts = texts.mapInArrow(count_grams(spark.sparkContext.broadcast(lookup), n), "key long, n long")
-        totals = {r["key"]: r["n"] for r in counts.groupBy("key").agg(F.sum("n").alias("n")).collect()}  # a row per n-gram of the block
-        df = np.array([totals.get(k, 0) for k in range(len(lookup.keys))], np.int64)
-        seed = choose_seeds(items, lookup.keys, df, totals.get(-1, 0))
-        order = np.lexsort((items.pos[seed], items.item[seed], items.gram[seed]))
-        gram, item_of, pos_of = (x[seed][order] for x in (items.gram, items.item, items.pos))
+        order = np.lexsort((items.pos, items.item, items.gram))
+        gram, item_of, pos_of = (x[order] for x in (items.gram, items.item, items.pos))
         seeds = Lookup(gram)
-        first = np.searchsorted(gram, np.r_[seeds.keys, []].astype(np.uint64)).tolist() + [len(gram)]
+        first = np.r_[np.searchsorted(gram, seeds.keys), len(gram)]
         shared = spark.sparkContext.broadcast((seeds, first, item_of, pos_of, items.words))
         rows = texts.mapInArrow(align(shared, n, threshold), MATCHES)
         names = spark.createDataFrame([(k, i) for k, i in enumerate(items.ids)], "item int, item_id long")

@@ -128,6 +128,23 @@ def test_leaks_planted_and_edited(spark):
     assert decontaminate.find_leaks(spark.createDataFrame([], EMPTY), bench).count() == 0
 
 
+def test_edited_copies_of_a_common_item(spark):
+    """Every edited copy that scores at the threshold is found, also of an item that a third of documents carry."""
+    r = random.Random(8)
+    words = [f"w{k}" for k in range(900)]
+    item = [r.choice(words) for _ in range(36)]
+    docs = [" ".join(item)] * 300
+    docs += [" ".join("x" if k % 4 == shift else x for k, x in enumerate(item)) for shift in range(4)]
+    docs += [" ".join("x" if k % 3 == shift else x for k, x in enumerate(item)) for shift in range(3)]
+    docs += [" ".join(f"e{r.random()}" if r.random() < share else x for x in item) for share in (0.2, 0.3) for _ in range(150)]
+    frame = spark.createDataFrame(list(enumerate(docs)), "doc_id long, text string")
+    bench = spark.createDataFrame([(1, " ".join(item))], "item_id long, text string")
+    code = {x: k for k, x in enumerate(dict.fromkeys(" ".join(docs).split()))}
+    numbers = lambda t: np.array([code[x] for x in t])
+    want = [k for k, t in enumerate(docs) if decontaminate.local_alignment(numbers(item), numbers(t.split()))[0] >= 36]
+    assert sorted(x["doc_id"] for x in decontaminate.find_leaks(frame, bench).collect()) == want
+
+
 def test_local_alignment_against_plain_recursion():
     r = random.Random(4)
     for _ in range(30):
