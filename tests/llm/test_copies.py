@@ -227,3 +227,23 @@ def test_edited_copies_of_one_line(spark):
     texts = ["\n".join(lines[k : k + 10]) for k in range(0, len(lines), 10)]
     got = line_dedup.dedup_lines(frame(spark, texts)).collect()
     assert {x["doc_id"]: (x["n_lines"], x["n_removed"], x["kept_sha256"]) for x in got} == dict(enumerate(lines_brute(texts)))
+
+
+@pytest.mark.parametrize("length", [100, 160, 320, 700])
+def test_bands_of_pairs_at_the_threshold(spark, length):
+    r, words = random.Random(length), vocabulary(5)
+    grams = lambda x: {x[k : k + 5] for k in range(len(x) - 4)}
+    pairs = []
+    while len(pairs) < 1000:
+        old = " ".join(r.choice(words) for _ in range(length))[:length].strip()
+        new = list(old)
+        for _ in range(length):
+            new[r.randrange(len(new))] = r.choice("klmnopqrst")
+            x, y = grams(old), grams("".join(new))
+            if len(x & y) <= 0.85 * len(x | y):
+                break
+        if len(x & y) >= 0.8 * len(x | y):
+            pairs.append((old, "".join(new)))
+    rows = spark.createDataFrame(pairs, "a string, b string")
+    shared = F.arrays_overlap(line_dedup.bottom_keys(F.col("a")), line_dedup.bottom_keys(F.col("b")))
+    assert rows.filter(~shared).count() <= 2
