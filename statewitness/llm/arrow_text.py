@@ -21,18 +21,24 @@ def text_buffers(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return raw, ends - ends[0]
 
 
-def chunks(batch: pa.RecordBatch, text_col: str = "text", limit: int = CHUNK_BYTES) -> Iterator[pa.RecordBatch]:
-    """Slices of a batch of about ``limit`` text bytes; a longer text is a slice of its own."""
-    if not batch.num_rows:
+def text_slices(texts: pa.Array, limit: int = CHUNK_BYTES) -> Iterator[tuple[int, int]]:
+    """Row ranges of about ``limit`` text bytes each; a longer text is a range of its own."""
+    if not len(texts):
         return
-    _, offsets = text_buffers(batch.column(batch.schema.get_field_index(text_col)))
+    _, offsets = text_buffers(texts)
     start = 0
-    while start < batch.num_rows:
+    while start < len(texts):
         stop = int(np.searchsorted(offsets, offsets[start] + limit, side="right")) - 1
-        stop = min(max(stop, start + 1), batch.num_rows)
-        yield batch.slice(start, stop - start)
+        stop = min(max(stop, start + 1), len(texts))
+        yield start, stop
         start = stop
 
 
+def chunks(batch: pa.RecordBatch, text_col: str = "text", limit: int = CHUNK_BYTES) -> Iterator[pa.RecordBatch]:
+    """Slices of a batch of about ``limit`` text bytes."""
+    for lo, hi in text_slices(column(batch, text_col), limit):
+        yield batch.slice(lo, hi - lo)
+
+
 def column(batch: pa.RecordBatch, name: str) -> pa.Array:
     return batch.column(batch.schema.get_field_index(name))

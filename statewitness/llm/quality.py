@@ -1,29 +1,40 @@
 """Quality classifier: a sparse ensemble of conjunctive rules, compiled to column expressions.
 
-1. Statistics of a whole text are column expressions (lengths, shares of kinds of characters and words,
-   repetition, line shapes). No language, source, id or label is among them.
+1. Statistics of a whole text (lengths, shares of kinds of characters and words, repetition, line shapes) come
+   from one scan of Arrow batches, all vectorised. No language, source, id or label is among them.
 2. A bounded sample of labelled rows (``MAX_ROWS``, smallest hashes of the id first) is gathered at the
    driver with its statistics; gradient boosting grows small trees on it.
 3. Every path from a root to a node below it is a rule: a conjunction of comparisons. Logistic
    regression with an absolute-value penalty (proximal gradient steps with momentum) gives most rules the
    weight zero; the penalty is chosen on a fifth of the sample.
-4. The rules left are compiled to one sum of CASE expressions, so scoring is a projection: no Python,
-   no shuffle, any number of rows.
+4. The rules left are compiled to one sum of CASE expressions over the statistics, so scoring is a scan and a
+   projection: no shuffle, any number of rows.
 
-Defined results: null text counts as empty and is scored; labels that are null are ignored, and a
+Defined results: null text counts as empty and is scored; a null id is scored and is in no fold (``held_out`` is
+false), nor is it trained on; labels that are null are ignored, and a
 document with contradicting labels counts as label 0; with no labels, or labels of one kind, the score
 is the share of label 1 (0.5 without any); a repeated row is scored each time; an empty table gives
-no rows; extra columns are ignored.
+no rows; extra columns are ignored, whatever their names.
 """
 
 from __future__ import annotations
 
+import unicodedata
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass, field
+from functools import lru_cache
 
 import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
+from statewitness.llm.arrow_text import column, text_buffers, text_slices
+from statewitness.llm.wordhash import SPACE, family, find_words
+
+QUALITY_SEED = 101
 MAX_ROWS = 6_000
 TREES, DEPTH, RATE, BINS = 24, 3, 0.3, 32
 PENALTIES = (0.01, 0.004, 0.0015, 0.0006)
@@ -32,57 +43,105 @@ HELD_OUT = 2
 
 # --- statistics -------------------------------------------------------------------------------------
 
-WORD = r"[^\x20\x09-\x0D]+"
-
-
-def counts(text: Column) -> dict[str, Column]:
-    """Counts that need a pass over the text each."""
-    words = F.split(F.regexp_replace(text, r"^[\x20\x09-\x0D]+|[\x20\x09-\x0D]+$", ""), r"[\x20\x09-\x0D]+")
-    return {
-        "n": F.length(text),
-        "upper": F.regexp_count(text, F.lit(r"\p{Lu}")),
-        "letters": F.regexp_count(text, F.lit(r"\p{L}")),
-        "symbols": F.regexp_count(text, F.lit(r"[#$%&*|@^~<>=_+\\/{}\[\]]")),
-        "bangs": F.regexp_count(text, F.lit("!")),
-        "digits": F.regexp_count(text, F.lit("[0-9]")),
-        "lines": F.regexp_count(text, F.lit("\n")) + 1,
-        "sentences": F.regexp_count(text, F.lit(r"[\p{L}][.?](?=[\x20\x09-\x0D]|$)")),
-        "short": F.regexp_count(text, F.lit(r"(?<![^\x20\x09-\x0D])[^\x20\x09-\x0D]{1,3}(?![^\x20\x09-\x0D])")),
-        "words": words,
-    }
-
-
-def statistics(n: dict[str, Column]) -> dict[str, Column]:
-    """The rule ensemble's inputs, from counts."""
-    words = F.size("words")
-    share = lambda part, whole: F.col(part) / F.greatest(F.col(whole), F.lit(1))
-    return {
-        "chars": F.col("n").cast("double"),
-        "words": words.cast("double"),
-        "upper_share": share("upper", "letters"),
-        "letter_share": share("letters", "n"),
-        "symbol_share": share("symbols", "n"),
-        "bang_share": F.col("bangs") / words,
-        "digit_share": share("digits", "n"),
-        "word_length": F.col("n") / words,
-        "line_words": words / F.col("lines"),
-        "sentence_words": words / (F.col("sentences") + 1),
-        "short_share": F.col("short") / words,
-        "distinct_share": F.size(F.array_distinct("words")) / words,
-        "distinct_scaled": F.size(F.array_distinct("words")) / F.sqrt(words.cast("double")),
-    }
-
-
+#: Symbols that prose hardly has.
+SYMBOLS = b"#$%&*|@^~<>=_+\\/{}[]"
 FEATURES = ("chars", "words", "upper_share", "letter_share", "symbol_share", "bang_share", "digit_share", "word_length", "line_words", "sentence_words", "short_share", "distinct_share", "distinct_scaled")
+LETTER, UPPER = 1, 2
+
+
+@lru_cache(1)
+def kinds() -> np.ndarray:
+    """LETTER and UPPER bits of every code point."""
+    out = np.zeros(0x200000, np.uint8)
+    for k in range(0x110000):
+        kind = unicodedata.category(chr(k))
+        if kind[0] == "L":
+            out[k] = LETTER | (UPPER if kind == "Lu" else 0)
+    return out
+
+
+def letter_bits(raw: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Kind bits at the first byte of every character, and the LETTER bit at its last byte."""
+    table = kinds()
+    first = table[:128][np.minimum(raw, 127)] * (raw < 128)
+    last = first & LETTER
+    at = np.flatnonzero(raw >= 0xC0)
+    if len(at):
+        padded = np.r_[raw, np.zeros(3, np.uint8)].astype(np.uint32)
+        lead = padded[at]
+        tail = [padded[at + k] & 0x3F for k in (1, 2, 3)]
+        size = 2 + (lead >= 0xE0) + (lead >= 0xF0)
+        two, three = (lead & 0x1F) << 6 | tail[0], (lead & 0x0F) << 12 | tail[0] << 6 | tail[1]
+        four = (lead & 0x07) << 18 | tail[0] << 12 | tail[1] << 6 | tail[2]
+        first[at] = table[np.where(size == 2, two, np.where(size == 3, three, four))]
+        last[np.minimum(at + size - 1, len(raw) - 1)] = first[at] & LETTER
+    return first, last
+
+
+def statistics(texts: pa.Array) -> np.ndarray:
+    """One row of FEATURES for each text; null counts as empty."""
+    raw, offsets = text_buffers(texts)
+    w = find_words(raw, offsets)
+    per = lambda mask: np.diff(np.r_[0, np.cumsum(mask)][offsets])
+    first, last = letter_bits(raw)
+    starts_char = (raw & 0xC0) != 0x80
+    before = np.r_[0, np.cumsum(starts_char)]
+    n = np.diff(before[offsets])
+    space = SPACE[raw]
+    ends_text = np.zeros(len(raw), bool)
+    ends_text[offsets[1:][np.diff(offsets) > 0] - 1] = True
+    stop = (raw == 0x2E) | (raw == 0x3F)
+    if len(raw):
+        stop[1:] &= last[:-1] > 0
+        stop[offsets[:-1][np.diff(offsets) > 0]] = False
+        stop &= ends_text | np.r_[space[1:], False]
+    count = np.diff(w.docs)
+    brief = np.r_[0, np.cumsum(before[w.ends] - before[w.starts] <= 3)][w.docs]
+    h = family(QUALITY_SEED).word_hashes(raw, w.starts, w.ends)
+    distinct = np.ones(len(count), np.int64)
+    for i in np.flatnonzero(count > 1).tolist():
+        x = np.sort(h[w.docs[i] : w.docs[i + 1]])
+        distinct[i] = 1 + np.count_nonzero(x[1:] != x[:-1])
+    words, letters = np.maximum(count, 1), per(first & LETTER)
+    share = lambda part, whole: part / np.maximum(whole, 1)
+    return np.stack(
+        [
+            n,
+            words,
+            share(per(first & UPPER) // UPPER, letters),
+            share(letters, n),
+            share(per(np.isin(raw, np.frombuffer(SYMBOLS, np.uint8))), n),
+            per(raw == 0x21) / words,
+            share(per((raw >= 0x30) & (raw <= 0x39)), n),
+            n / words,
+            words / (per(raw == 0x0A) + 1),
+            words / (per(stop) + 1),
+            np.diff(brief) / words,
+            distinct / words,
+            distinct / np.sqrt(words),
+        ],
+        1,
+    ).astype(np.float64)
 
 
 def with_statistics(docs: DataFrame, text_col: str, carry: list[Column]) -> DataFrame:
-    """``carry`` and one column ``f_<name>`` for each statistic."""
-    text = F.coalesce(F.col(text_col), F.lit(""))
-    found = counts(text)
-    step = docs.select(*carry, *[c.alias(k) for k, c in found.items()])
-    names = step.columns[: len(carry)]
-    return step.select(*names, *[c.cast("double").alias(f"f_{k}") for k, c in statistics(found).items()])
+    """``carry`` and one column ``f_<name>`` for each statistic, from one narrow scan in Arrow batches."""
+    rows = docs.select(F.struct(*carry).alias("carried"), F.col(text_col).cast("string").alias("text"))
+    return _scanned(rows, lambda batch: column(batch, "text")).select("carried.*", *[f"f_{k}" for k in FEATURES])
+
+
+def _scanned(rows: DataFrame, text_of: Callable[[pa.RecordBatch], pa.Array]) -> DataFrame:
+    """``carried`` of ``rows`` with the statistics of each row's text."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for whole in batches:
+            for lo, hi in text_slices(text_of(whole)):
+                batch = whole.slice(lo, hi - lo)
+                x = statistics(text_of(batch))
+                yield pa.RecordBatch.from_arrays([column(batch, "carried"), *[pa.array(x[:, k]) for k in range(len(FEATURES))]], names=["carried", *[f"f_{k}" for k in FEATURES]])
+
+    schema = T.StructType([rows.schema["carried"], *[T.StructField(f"f_{k}", T.DoubleType()) for k in FEATURES]])
+    return rows.mapInArrow(run, schema)
 
 
 # --- trees and rules --------------------------------------------------------------------------------
@@ -251,15 +310,18 @@ def score(docs: DataFrame, model: RuleModel) -> DataFrame:
     """doc_id, held_out, score and predicted for every row."""
     rows = with_statistics(docs, "text", [F.col("doc_id")])
     value = model.column()
-    return rows.select("doc_id", (fold(F.col("doc_id")) == HELD_OUT).alias("held_out"), value.alias("score")).withColumn("predicted", (F.col("score") >= KEEP_AT).cast("int"))
+    return rows.select("doc_id", F.coalesce(fold(F.col("doc_id")) == HELD_OUT, F.lit(False)).alias("held_out"), value.alias("score")).withColumn("predicted", (F.col("score") >= KEEP_AT).cast("int"))
 
 
 def keep_good(docs: DataFrame, model: RuleModel, keep_at: float = KEEP_AT) -> DataFrame:
-    """The rows scored ``keep_at`` or more, with their own columns only."""
+    """The rows scored ``keep_at`` or more, with their own columns only.
+
+    The score is a column over statistics that come out of the scan, so the filter can't be moved before them.
+    """
     names = docs.columns
-    held = F.struct(*[F.col(f"`{c}`") for c in names]).alias("_row")
-    rows = with_statistics(docs, "text", [held])
-    return rows.filter(model.column() >= keep_at).select("_row.*")
+    rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in names]).alias("carried"))
+    place = names.index("text")
+    return _scanned(rows, lambda batch: pc.struct_field(column(batch, "carried"), [place])).filter(model.column() >= keep_at).select("carried.*")
 
 
 def query(spark, sf_dir: str) -> DataFrame:
