@@ -10,7 +10,7 @@ written to a scratch table: lineage stays short and nothing is gathered at the d
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from statewitness.llm.scratch import Scratch
@@ -32,24 +32,28 @@ def _small_star(edges: DataFrame) -> DataFrame:
     return moved.union(own).distinct()
 
 
-def _mark(edges: DataFrame) -> tuple:
-    row = edges.agg(F.count("*"), F.bit_xor(F.xxhash64("a", "b")), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))).first()
-    return tuple(row)
+def _mark() -> tuple[Column, Column]:
+    """What tells one round's edges from the next's, gathered while they are written."""
+    return F.bit_xor(F.xxhash64("a", "b")).alias("x"), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)")).alias("s")
 
 
-def components(edges: DataFrame, s: Scratch, name: str, keep: bool = False) -> DataFrame:
-    """(id, component) for every vertex of ``edges`` (a, b); a component is named by its smallest id."""
-    now = s.save(edges.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).filter("a <> b").distinct(), f"{name}-0")
-    mark, turn = _mark(now), 0
-    while mark[0]:
+def components(edges: DataFrame, s: Scratch, name: str) -> DataFrame:
+    """(id, component) for every vertex of ``edges`` (a, b) but the smallest of each component, which names it.
+
+    The result reads the last round's table; the caller keeps or drops the tables whose names begin with ``name``.
+    """
+    now, mark, turn = edges.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).filter("a <> b").distinct(), None, 0
+    while True:
         turn += 1
-        new = s.save(_small_star(_star(now)), f"{name}-{turn}")
+        new, seen = s.save_seen(_small_star(_star(now)), f"{name}-{turn}", *_mark())
         s.drop(f"{name}-{turn - 1}")
-        now, old, mark = new, mark, _mark(new)
-        if mark == old:
-            break
-    members = now.select(F.col("b").alias("id"), F.col("a").alias("component"))
-    centres = now.select(F.col("a").alias("id"), F.col("a").alias("component")).distinct()
-    if keep:
-        s.kept.add(f"{name}-{turn}")
-    return members.union(centres)
+        now, old, mark = new, mark, seen
+        if mark == old or not mark["n"]:
+            return now.select(F.col("b").alias("id"), F.col("a").alias("component"))
+
+
+def grown(comp: DataFrame | None, edges: DataFrame, s: Scratch, name: str) -> DataFrame:
+    """Components of what ``comp`` (id, component) links and of more edges: stars with the edges between them."""
+    if comp is not None:
+        edges = comp.select(F.col("component").alias("a"), F.col("id").alias("b")).union(edges.select("a", "b"))
+    return components(edges, s, name)

@@ -10,8 +10,9 @@
 The test items travel to the workers, so their size is checked; a larger benchmark is taken in blocks
 below the bound, each with its own scan.
 
-Defined results: null or empty texts and items match nothing; items of fewer than ``MIN_WORDS`` words
-are too short to tell and match nothing; case is ignored; a repeated row is reported each time;
+Defined results: null or empty texts and items match nothing; an item of three words up to ``MIN_WORDS`` - 1
+matches only where all its words stand in a row, an item of one or two words only a text that has no other words
+(both with score 1); case is ignored; a repeated row is reported each time;
 a repeated item id is reported for each of its texts; empty tables give no rows;
 extra columns are ignored.
 """
@@ -24,7 +25,7 @@ from dataclasses import dataclass
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from statewitness.llm.arrow_text import chunks, column, text_buffers
@@ -81,17 +82,20 @@ class Items:
     gram: np.ndarray
     item: np.ndarray
     pos: np.ndarray
+    whole: dict[int, list[int]]
 
 
 def read_items(rows: list[tuple], n: int) -> Items:
     hashes = family(FAMILY_SEED)
-    out = Items([], [], np.zeros(0, np.uint64), np.zeros(0, np.int64), np.zeros(0, np.int64))
+    out = Items([], [], np.zeros(0, np.uint64), np.zeros(0, np.int64), np.zeros(0, np.int64), {})
     grams, items, places = [], [], []
     for item_id, text in rows:
         w = find_words(*text_buffers(pc.utf8_lower(pa.array([text], pa.string()))))
-        if len(w.starts) < max(MIN_WORDS, n):
+        if not len(w.starts):
             continue
         h = hashes.word_hashes(w.raw, w.starts, w.ends)
+        if len(h) < n:
+            out.whole.setdefault(int(hashes.grams(h, len(h))[0]), []).append(len(out.ids))
         for g in (hashes.grams(h, n), gapped(hashes, h)):
             grams.append(g)
             items.append(np.full(len(g), len(out.ids)))
@@ -128,6 +132,11 @@ def merged(spans: list[tuple[int, int]]) -> list[tuple[int, int]]:
     return [(a, b) for a, b in out]
 
 
+def needed(n_words: int, threshold: float) -> float:
+    """The score from which an item of that many words is found."""
+    return threshold if n_words >= MIN_WORDS else 1.0
+
+
 MATCHES = "doc_id long, item int, score double, start_word long, end_word long"
 
 
@@ -135,7 +144,7 @@ def align(shared, n: int, threshold: float):
     """Seeds and items in ``shared``; gives the best alignment of each (document, item) at the threshold."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        lookup, first, item_of, pos_of, items = shared.value
+        lookup, first, item_of, pos_of, items, whole_texts = shared.value
         hashes = family(FAMILY_SEED)
         memory: dict[tuple[int, bytes], tuple[int, int, int]] = {}
 
@@ -144,7 +153,8 @@ def align(shared, n: int, threshold: float):
             if key not in memory:
                 if len(memory) > 2000:
                     memory.clear()
-                words, need = items[item], threshold * MATCH * len(items[item])
+                words = items[item]
+                need = needed(len(words), threshold) * MATCH * len(words)
                 score = start = end = 0
                 if MATCH * int(np.isin(words, passage).sum()) >= need:
                     score, end = local_alignment(words, passage)
@@ -158,10 +168,13 @@ def align(shared, n: int, threshold: float):
             for batch in chunks(whole):
                 w = find_words(*text_buffers(pc.utf8_lower(column(batch, "text"))))
                 h = hashes.word_hashes(w.raw, w.starts, w.ends)
+                ids = column(batch, "doc_id").to_pylist()
+                for d in np.flatnonzero((np.diff(w.docs) > 0) & (np.diff(w.docs) < n)).tolist() if whole_texts else ():
+                    words = h[w.docs[d] : w.docs[d + 1]]
+                    out += [(ids[d], item, 1.0, 0, len(words)) for item in whole_texts.get(int(hashes.grams(words, len(words))[0]), ())]
                 at, key = seed_hits(lookup, hashes, h, w, n)
                 if not len(at):
                     continue
-                ids = column(batch, "doc_id").to_pylist()
                 many = first[key + 1] - first[key]
                 e = np.repeat(first[key + 1] - np.cumsum(many), many) + np.arange(many.sum())
                 hits = np.unique(np.stack([w.doc_of[np.repeat(at, many)], item_of[e], np.repeat(at, many) - pos_of[e]], 1), axis=0)
@@ -172,7 +185,7 @@ def align(shared, n: int, threshold: float):
                 for (d, item), found in spans.items():
                     top = max(((*best(item, h[a:b]), a) for a, b in merged(found)), key=lambda x: (x[0], -x[3]))
                     score = top[0] / (MATCH * len(items[item]))
-                    if score >= threshold:
+                    if score >= needed(len(items[item]), threshold):
                         base = top[3] - int(w.docs[d])
                         out.append((ids[d], item, score, base + top[1], base + top[2]))
             cols = list(zip(*out)) or [()] * 5
@@ -190,6 +203,19 @@ def item_blocks(benchmark: DataFrame, limit: int) -> list[DataFrame]:
     return [items.filter(F.pmod(F.xxhash64("item_id", "text"), F.lit(n)) == k) if n > 1 else items for k in range(n)]
 
 
+def lookups(spark: SparkSession, benchmark: DataFrame, n: int, block_bytes: int) -> Iterator[tuple]:
+    """For each block of items: their ids, and a broadcast of what a scan needs to find them."""
+    for block in item_blocks(benchmark, block_bytes):
+        items = read_items([tuple(r) for r in block.collect()], n)  # at most block_bytes, as counted
+        if not items.ids:
+            continue
+        order = np.lexsort((items.pos, items.item, items.gram))
+        gram, item_of, pos_of = (x[order] for x in (items.gram, items.item, items.pos))
+        seeds = Lookup(gram)
+        first = np.r_[np.searchsorted(gram, seeds.keys), len(gram)]
+        yield items.ids, spark.sparkContext.broadcast((seeds, first, item_of, pos_of, items.words, items.whole))
+
+
 def find_leaks(
     docs: DataFrame,
     benchmark: DataFrame,
@@ -199,19 +225,11 @@ def find_leaks(
 ) -> DataFrame:
     """One row per (document, item) whose alignment reaches the threshold: score and word span in the text."""
     spark = docs.sparkSession
-    texts = docs.select(F.col("doc_id").cast("long"), "text")
+    texts = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string"))
     found = None
-    for block in item_blocks(benchmark, block_bytes):
-        items = read_items([tuple(r) for r in block.collect()], n)  # at most block_bytes, as checked
-        if not items.ids:
-            continue
-        order = np.lexsort((items.pos, items.item, items.gram))
-        gram, item_of, pos_of = (x[order] for x in (items.gram, items.item, items.pos))
-        seeds = Lookup(gram)
-        first = np.r_[np.searchsorted(gram, seeds.keys), len(gram)]
-        shared = spark.sparkContext.broadcast((seeds, first, item_of, pos_of, items.words))
+    for ids, shared in lookups(spark, benchmark, n, block_bytes):
         rows = texts.mapInArrow(align(shared, n, threshold), MATCHES)
-        names = spark.createDataFrame([(k, i) for k, i in enumerate(items.ids)], "item int, item_id long")
+        names = spark.createDataFrame([(k, i) for k, i in enumerate(ids)], "item int, item_id long")
         part = rows.join(F.broadcast(names), "item").select("doc_id", "item_id", "score", "start_word", "end_word")
         found = part if found is None else found.unionByName(part)
     if found is None:
@@ -219,5 +237,26 @@ def find_leaks(
     return found
 
 
+def without_leaks(docs: DataFrame, benchmark: DataFrame, n: int = SEED_WORDS, threshold: float = THRESHOLD, block_bytes: int = BLOCK_BYTES) -> DataFrame:
+    """The rows of ``docs`` in whose text no item is found, whatever their ids: one narrow scan for each block of items."""
+    names = docs.columns
+    place = names.index("text")
+    rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in names]).alias("row"))
+    for _, shared in lookups(docs.sparkSession, benchmark, n, block_bytes):
+        find = align(shared, n, threshold)
+
+        def run(batches: Iterator[pa.RecordBatch], find=find) -> Iterator[pa.RecordBatch]:
+            for batch in batches:
+                texts = pc.struct_field(column(batch, "row"), [place]).cast(pa.string())
+                numbered = pa.RecordBatch.from_arrays([pa.array(np.arange(batch.num_rows)), texts], names=["doc_id", "text"])
+                clean = np.ones(batch.num_rows, bool)
+                for found in find(iter([numbered])):
+                    clean[found.column(0).to_numpy(zero_copy_only=False)] = False
+                yield batch.filter(pa.array(clean))
+
+        rows = rows.mapInArrow(run, rows.schema)
+    return rows.select("row.*")
+
+
 def query(spark, sf_dir: str) -> DataFrame:
     return find_leaks(spark.read.parquet(f"{sf_dir}/documents.parquet"), spark.read.parquet(f"{sf_dir}/benchmark.parquet"))

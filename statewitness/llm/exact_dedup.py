@@ -21,7 +21,7 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from statewitness.llm.bounded import BROADCAST_KEYS, keep_keys
+from statewitness.llm.bounded import BROADCAST_KEYS, drop_keys, keep_keys
 from statewitness.llm.scratch import Scratch
 
 SPACE_RUN = r"[\x20\x09-\x0D]+"
@@ -80,6 +80,21 @@ def exact_groups(
     )
 
 
+def keep_first(docs: DataFrame, content_key: Callable[[Column], Column] = md5_key, broadcast_keys: int = BROADCAST_KEYS) -> DataFrame:
+    """The rows of ``docs`` with one of each text: the smallest id that is not null, and one of rows that repeat it.
+
+    Only texts whose hash occurs twice or more are moved; they are grouped by hash and bytes.
+    """
+    s, names = Scratch(docs.sparkSession), docs.columns
+    text = normalised(F.col("text").cast("string"))
+    keyed = docs.select(F.struct(*[F.col(f"`{c}`") for c in names]).alias("_row"), F.col("doc_id").alias("_id"), text.alias("_t")).withColumn("_k", content_key(F.col("_t")))
+    repeated, seen = s.save_seen(keyed.groupBy("_k").agg(F.count("*").alias("_n")).filter("_n > 1").select("_k"), "repeated", keep=True)
+    single = drop_keys(keyed, repeated, "_k", seen["n"], broadcast_keys)
+    order = F.struct(F.col("_id").isNull().alias("none"), F.col("_id").alias("id"), F.to_json("_row").alias("json"))
+    first = keep_keys(keyed, repeated, "_k", seen["n"], broadcast_keys).groupBy("_k", "_t").agg(F.min_by("_row", order).alias("_row"))
+    return single.select("_row.*").unionByName(first.select("_row.*"))
+
+
 def query(spark, sf_dir: str) -> DataFrame:
     return exact_groups(spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text"))
 

@@ -7,10 +7,12 @@ A scratch table cuts lineage: a lost executor costs one task, not the stages bef
 
 from __future__ import annotations
 
+import gc
 import tempfile
 import uuid
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, Observation, SparkSession
+from pyspark.sql import functions as F
 
 
 def shared_root(spark: SparkSession) -> str:
@@ -42,9 +44,7 @@ class Scratch:
         return self
 
     def __exit__(self, *_exc) -> None:
-        for name in list(self.paths):
-            if name not in self.kept:
-                self.drop(name)
+        self.drop_all()
 
     def path(self, name: str) -> str:
         return f"{self.root}/{name}"
@@ -60,6 +60,23 @@ class Scratch:
             self.kept.add(name)
         return self.spark.read.schema(df.schema).parquet(path)
 
+    def save_seen(self, df: DataFrame, name: str, *measures: Column, keep: bool = False) -> tuple[DataFrame, dict]:
+        """``save``, and aggregates over the rows that were written, from the same job (``n``: their number)."""
+        seen = Observation()
+        table = self.save(df.observe(seen, F.count("*").alias("n"), *measures), name, keep)
+        return table, seen.get
+
+    def drop_all(self) -> None:
+        """Delete all tables but those kept."""
+        for name in [x for x in self.paths if x not in self.kept]:
+            self.drop(name)
+        self.release()
+
+    def release(self) -> None:
+        """Let the driver forget plans, broadcasts and shuffles of what has ended (its cleaner follows collections)."""
+        gc.collect()
+        self.spark.sparkContext._jvm.System.gc()
+
     def drop(self, name: str) -> None:
         path = self.paths.pop(name, None)
         if path:

@@ -111,7 +111,9 @@ def test_near_classes(spark, words_each, percent, monkeypatch):
 def test_near_edge_cases(spark):
     assert near_dedup.near_classes(spark.createDataFrame([], EMPTY)).count() == 0
     got = near_dedup.near_classes(spark.createDataFrame([(4, "a b"), (4, "a b"), (9, "A B"), (None, "a b"), (2, None)], EMPTY)).collect()
-    assert sorted((r["doc_id"], r["component_id"], r["kept"]) for r in got) == [(2, 2, True), (4, 4, True), (4, 4, True), (9, 4, False)]
+    assert sorted(((r["doc_id"], r["component_id"], r["kept"]) for r in got), key=str) == [(2, 2, True), (4, 4, True), (4, 4, True), (9, 4, False), (None, 4, False)]
+    got = near_dedup.near_classes(spark.createDataFrame([(5, "a b"), (5, "c d"), (None, "c d"), (None, "e"), (None, None)], EMPTY)).collect()  # one id, two texts
+    assert sorted(((r["doc_id"], r["n_shingles"], r["component_id"], r["kept"]) for r in got), key=str) == [(5, 1, 5, True), (5, 1, 5, True), (None, 0, None, True), (None, 1, 5, False), (None, 1, None, True)]
 
 
 def test_components_of_chains_and_hubs(spark):
@@ -120,7 +122,8 @@ def test_components_of_chains_and_hubs(spark):
     want = components_of(400, edges)
     with Scratch(spark) as s:
         got = {x["id"]: x["component"] for x in components(spark.createDataFrame(edges, "a long, b long"), s, "t").collect()}
-    assert got == {k: want[k] for e in edges if e[0] != e[1] for k in e}
+        assert components(spark.createDataFrame([], "a long, b long"), s, "none").count() == 0
+    assert got == {k: want[k] for e in edges for k in e if want[k] != k}
 
 
 # --- windows ----------------------------------------------------------------------------------------
