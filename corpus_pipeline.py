@@ -2,7 +2,8 @@
 
 Each stage takes (spark, docs, sf_dir), works on all that the stage before kept, and returns a
 DataFrame; ``run`` writes each result as Parquet and reads it again as the next stage's ``docs``. All
-stages but the last return the columns of ``documents``.
+stages but the last return the columns of ``documents``. Rows are told apart by what they hold, never by a bare
+id: rows that share an id, or have none, are judged by their own texts, and of repeated rows exactly one stays.
 """
 
 from __future__ import annotations
@@ -10,7 +11,6 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 
 from statewitness.llm import decontaminate, exact_dedup, near_dedup, packing, quality
-from statewitness.llm.bounded import drop_keys
 from statewitness.llm.scratch import Scratch
 
 
@@ -19,19 +19,19 @@ def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
     return quality.keep_good(docs, quality.train(docs, spark.read.parquet(f"{sf_dir}/labels.parquet")))
 
 
-def exact_copies(spark: SparkSession, docs: DataFrame, _sf_dir: str) -> DataFrame:
+def exact_copies(_spark: SparkSession, docs: DataFrame, _sf_dir: str) -> DataFrame:
     """One document of each text (white space aside): the smallest id."""
-    return _without(spark, docs, exact_dedup.exact_groups(docs).filter("not kept"), "exact")
+    return exact_dedup.keep_first(docs)
 
 
-def near_copies(spark: SparkSession, docs: DataFrame, _sf_dir: str) -> DataFrame:
+def near_copies(_spark: SparkSession, docs: DataFrame, _sf_dir: str) -> DataFrame:
     """One document of each class of near copies (five-word shingles, similarity 0.8): the smallest id."""
-    return _without(spark, docs, near_dedup.near_classes(docs).filter("not kept"), "near")
+    return near_dedup.keep_one(docs)
 
 
 def benchmark_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents without a copy, edited or not, of a test item."""
-    return _without(spark, docs, decontaminate.find_leaks(docs, spark.read.parquet(f"{sf_dir}/benchmark.parquet")), "leaks")
+    return decontaminate.without_leaks(docs, spark.read.parquet(f"{sf_dir}/benchmark.parquet"))
 
 
 def best_fit_packing(_spark: SparkSession, docs: DataFrame, _sf_dir: str) -> DataFrame:
@@ -39,12 +39,6 @@ def best_fit_packing(_spark: SparkSession, docs: DataFrame, _sf_dir: str) -> Dat
     return packing.pack(docs, packing.word_tokenizer(), word_memory=200_000)
 
 
-def _without(spark: SparkSession, docs: DataFrame, lost: DataFrame, name: str) -> DataFrame:
-    s = Scratch(spark)
-    ids = s.save(lost.select("doc_id").distinct(), name, keep=True)
-    return drop_keys(docs, ids, "doc_id", ids.count()).select(docs.columns)
-
-
 STAGES = [
     ("quality_rules", quality_rules),
     ("exact_copies", exact_copies),
