@@ -1,4 +1,4 @@
-"""Connected components by alternating star contractions, on DataFrames only.
+"""Connected components by alternating star contractions, on DataFrames.
 
 Each round points the neighbours of a vertex at the smallest of them: large-star moves larger
 neighbours, small-star the smaller ones and the vertex itself. The edges become stars whose centres are
@@ -10,11 +10,18 @@ written to a scratch table: lineage stays short and nothing is gathered at the d
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from statewitness.llm.scratch import Scratch
 
+#: Most edges that a task contracts by itself (some tens of MB).
+TASK_EDGES = 500_000
+
 
 def _star(edges: DataFrame) -> DataFrame:
     """Large-star: for x and its neighbours, those above x are linked to the smallest of x's set."""
@@ -52,8 +59,39 @@ def components(edges: DataFrame, s: Scratch, name: str) -> DataFrame:
             return now.select(F.col("b").alias("id"), F.col("a").alias("component"))
 
 
-def grown(comp: DataFrame | None, edges: DataFrame, s: Scratch, name: str) -> DataFrame:
-    """Components of what ``comp`` (id, component) links and of more edges: stars with the edges between them."""
+def _least_roots(a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(vertex, smallest vertex of its component) over edges, but for vertices that are the smallest themselves."""
+    ids, at = np.unique(np.concatenate([a, b]), return_inverse=True)
+    x, y, root = at[: len(a)], at[len(a) :], np.arange(len(ids))
+    while True:
+        lo, hi = np.minimum(root[x], root[y]), np.maximum(root[x], root[y])
+        if (lo == hi).all():
+            break
+        np.minimum.at(root, hi, lo)
+        while (root != root[root]).any():
+            root = root[root]
+    moved = np.flatnonzero(root != np.arange(len(ids)))
+    return ids[moved], ids[root[moved]]
+
+
+def _contracted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Stars in place of a partition's edges."""
+    parts = [(x.column(0).to_numpy(), x.column(1).to_numpy()) for x in batches]
+    if parts:
+        ids, roots = _least_roots(*(np.concatenate(side) for side in zip(*parts)))
+        yield pa.RecordBatch.from_arrays([pa.array(roots), pa.array(ids)], names=["a", "b"])
+
+
+def grown(comp: DataFrame | None, edges: DataFrame, n_edges: int, s: Scratch, name: str, native: bool = False) -> DataFrame:
+    """Components (id, component) of what ``comp`` links and of more edges (``n_edges`` of both, as counted).
+
+    Edges are first contracted to stars inside tasks of some ``TASK_EDGES`` each, so a graph of one task is done
+    in one stage and a larger one meets in star rounds with fewer edges. ``native`` leaves this out.
+    """
     if comp is not None:
         edges = comp.select(F.col("component").alias("a"), F.col("id").alias("b")).union(edges.select("a", "b"))
-    return components(edges, s, name)
+    if native:
+        return components(edges, s, name)
+    tasks = -(-n_edges // TASK_EDGES) or 1
+    stars = s.save(edges.select("a", "b").coalesce(tasks).mapInArrow(_contracted, "a long, b long"), f"{name}-stars")
+    return stars.select(F.col("b").alias("id"), F.col("a").alias("component")) if tasks == 1 else components(stars, s, name)

@@ -272,6 +272,7 @@ class Search:
     sets: DataFrame | None = None
     comp: DataFrame | None = None
     step: int = 0
+    n_edges: int = 0
 
     @property
     def similarity(self) -> float:
@@ -299,8 +300,10 @@ class Search:
         """Confirm pairs and let the components grow by them."""
         self.step += 1
         if self.sets is not None:
-            edges = self.s.save(confirmed(pairs, self.sets, self.percent), f"edges-{self.step}")
-            self.comp = grown(self.comp, edges, self.s, f"known-{self.step}")
+            edges, seen = self.s.save_seen(confirmed(pairs, self.sets, self.percent), f"edges-{self.step}")
+            if seen["n"]:
+                self.n_edges += seen["n"]
+                self.comp = grown(self.comp, edges, self.n_edges, self.s, f"known-{self.step}")
 
     def with_component(self, rows: DataFrame) -> DataFrame:
         """``rows`` (rep, ...) with the component so far as ``c``."""
@@ -347,7 +350,7 @@ def search_trees(q: Search, chosen: list[tuple[int, int]]) -> DataFrame | None:
     q.need_sets(ids)
     best = close.groupBy("b").agg(F.max(F.struct("agree", (-F.col("a")).alias("m"))).alias("v")).select((-F.col("v.m")).alias("a"), "b")
     q.link(best)
-    q.link(not_connected(close, q.comp) if q.comp is not None else close)
+    q.link(not_connected(close, q.comp))
     return last
 
 
@@ -409,8 +412,10 @@ def keep_one(docs: DataFrame, words_each: int = 5, percent: int = 80, target_rec
     return docs.join(side, F.col("doc_id").cast("long").eqNullSafe(F.col("_id")) & (mark == F.col("_mark")), "left_anti")
 
 
-def not_connected(pairs: DataFrame, comp: DataFrame) -> DataFrame:
+def not_connected(pairs: DataFrame, comp: DataFrame | None) -> DataFrame:
     """Pairs whose ends are in different components so far."""
+    if comp is None:
+        return pairs.select("a", "b")
     side = lambda k, out: comp.select(F.col("id").alias(k), F.col("component").alias(out))
     both = pairs.join(side("a", "ca"), "a", "left").join(side("b", "cb"), "b", "left")
     return both.filter(F.coalesce("ca", "a") != F.coalesce("cb", "b")).select("a", "b")
