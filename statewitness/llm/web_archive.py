@@ -8,11 +8,13 @@ later copies of a payload (all but the one with the largest page id) become ``re
 the payload that refer to it.
 
 Archives are written by Spark's text writer with record ends as line separators (so any Hadoop file system
-will do) and read as whole files, each of at most ``PER_FILE`` records; every file starts with its own version
+will do) and read as whole files, each of at most ``PER_FILE`` records and, by the longest record, some ``FILE_BYTES``
+bytes; every file starts with its own version
 block or ``warcinfo`` record. What decides between ``response`` and ``revisit`` is an aggregate of digests;
 payloads are not shuffled unless there are more copies than may be broadcast.
 
-Defined results: null html is an empty payload; a null url is written as ``about:blank``, and white space in
+Defined results: a page whose id is null is written without a number, is read back with a null id, and revisits a
+copy that has one; if no copy has one, all are responses; null html is an empty payload; a null url is written as ``about:blank``, and white space in
 one is percent-encoded; rows that repeat the largest page id of a payload are responses each; an empty
 table gives no archive and no rows; extra columns are ignored.
 """
@@ -36,6 +38,8 @@ from statewitness.llm.bounded import BROADCAST_KEYS
 from statewitness.llm.scratch import Scratch
 
 PER_FILE = 2000
+#: Most bytes of a file, unless one record alone is longer.
+FILE_BYTES = 64_000_000
 ORIGIN = "statewitness"
 # Fixed values of the two formats.
 FIELDS_1 = "URL IP-address Archive-date Content-type Archive-length"
@@ -66,10 +70,20 @@ def arc_version_block(version: int, name: str, date: str) -> str:
     return (head if version == 1 else f"{head}200 - - 0 {name} ") + f"{len(body)}\n{body}"
 
 
-def arc_record(version: int, name: str, url: str | None, date: str, page_id: int, html: str) -> str:
+def page_number(headers: dict[str, str]) -> int | None:
+    """The page id in an HTTP header; a page without an id has none there."""
+    return int(headers["x-page-id"]) if headers.get("x-page-id") else None
+
+
+def records_per_file(longest: int | None, limit: int = PER_FILE) -> int:
+    """As many records as keep a file within FILE_BYTES if all were as long as the longest payload."""
+    return max(1, min(limit, FILE_BYTES // ((longest or 0) + 2000)))
+
+
+def arc_record(version: int, name: str, url: str | None, date: str, page_id: int | None, html: str) -> str:
     """One record: an HTTP response whose header carries the page id."""
     size = len(html.encode())
-    content = f"HTTP/1.1 200 OK\r\nContent-Type: text/html; charset=UTF-8\r\nContent-Length: {size}\r\nX-Page-Id: {page_id}\r\n\r\n"
+    content = f"HTTP/1.1 200 OK\r\nContent-Type: text/html; charset=UTF-8\r\nContent-Length: {size}\r\nX-Page-Id: {'' if page_id is None else page_id}\r\n\r\n"
     total = len(content) + size
     place = re.sub(r"\s", lambda m: "".join(f"%{b:02X}" for b in m[0].encode()), url or "about:blank")
     middle = "" if version == 1 else f"200 {sha1_32(html.encode())} - 0 {name} "
@@ -128,7 +142,7 @@ def http_parts(content: bytes) -> tuple[dict[str, str], bytes, bytes]:
 # --- WARC -------------------------------------------------------------------------------------------
 
 
-def record_id(page_id: int, digest: str) -> str:
+def record_id(page_id: int | None, digest: str) -> str:
     """The same page and payload always have the same identifier."""
     return f"<urn:uuid:{uuid.uuid5(uuid.NAMESPACE_URL, f'{ORIGIN}:{page_id}:{digest}')}>"
 
@@ -151,7 +165,7 @@ def warc_info(name: str) -> bytes:
 def convert(record: ArcRecord, refers_to: int | None) -> bytes:
     """The WARC record of an ARC record; ``refers_to`` is the page that holds the payload, for a revisit."""
     headers, head, payload = http_parts(record.content)
-    digest, page = sha1_32(payload), int(headers["x-page-id"])
+    digest, page = sha1_32(payload), page_number(headers)
     block = record.content if refers_to is None else head
     lines = [
         ("WARC-Record-ID", record_id(page, digest)),
@@ -217,6 +231,7 @@ def read_files(spark: SparkSession, path: str) -> DataFrame:
 
 def write_arc(pages: DataFrame, path: str, version: int = 1, date: str = "20240101000000", per_file: int = PER_FILE) -> None:
     """Write pages (page_id, url, html) as ARC files."""
+    per_file = records_per_file(pages.agg(F.max(F.octet_length("html"))).first()[0], per_file)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         def rows() -> Iterator[str]:
@@ -238,7 +253,7 @@ def arc_payloads(spark: SparkSession, path: str) -> DataFrame:
                 rows = []
                 for record in parse_arc(unzipped(content.as_py())):
                     headers, _, payload = http_parts(record.content)
-                    rows.append((int(headers["x-page-id"]), len(payload), sha1_32(payload)))
+                    rows.append((page_number(headers), len(payload), sha1_32(payload)))
                 cols = list(zip(*rows)) or [()] * 3
                 yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, (pa.int64(), pa.int64(), pa.string()))], names=["page_id", "payload_bytes", "payload_digest"])
 
@@ -254,8 +269,10 @@ def revisits(payloads: DataFrame, min_bytes: int = 0) -> DataFrame:
 def arc_to_warc(spark: SparkSession, arc_path: str, warc_path: str, min_bytes: int = 0, per_file: int = PER_FILE, broadcast_keys: int = BROADCAST_KEYS) -> None:
     """Convert ARC files to WARC files."""
     s = Scratch(spark)
-    found = s.save(revisits(arc_payloads(spark, arc_path), min_bytes), "revisits")
-    small = found.count() <= broadcast_keys
+    payloads, most = s.save_seen(arc_payloads(spark, arc_path), "payloads", F.max("payload_bytes").alias("longest"))
+    found, seen = s.save_seen(revisits(payloads, min_bytes), "revisits")
+    small, per_file = seen["n"] <= broadcast_keys, records_per_file(most["longest"], per_file)
+    s.drop("payloads")
 
     def unpack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -282,7 +299,7 @@ def arc_to_warc(spark: SparkSession, arc_path: str, warc_path: str, min_bytes: i
                 cols = [column(batch, c) for c in ("url", "date", "kind", "content", "refers_to")]
                 for url, date, kind, content, to in zip(*cols):
                     record = ArcRecord(url.as_py(), date.as_py(), kind.as_py(), content.as_py())
-                    page, target = int(http_parts(record.content)[0]["x-page-id"]), to.as_py()
+                    page, target = page_number(http_parts(record.content)[0]), to.as_py()
                     yield convert(record, None if target is None or target == page else target).decode()
 
         yield from in_files(rows(), lambda k: warc_info(f"pages-{k}.warc").decode(), per_file)
@@ -313,7 +330,7 @@ def read_warc(spark: SparkSession, path: str) -> DataFrame:
                     size = int(http["content-length"])
                     if kind == "response" and (sha1_32(payload), len(payload)) != (digest, size):
                         raise ValueError(f"payload of {headers['warc-record-id']} does not match its digest")
-                    rows.append((headers["warc-record-id"], int(http["x-page-id"]), size, digest, kind, headers.get("warc-refers-to")))
+                    rows.append((headers["warc-record-id"], page_number(http), size, digest, kind, headers.get("warc-refers-to")))
                 cols = list(zip(*rows)) or [()] * 6
                 kinds = (pa.string(), pa.int64(), pa.int64(), pa.string(), pa.string(), pa.string())
                 yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds)], names=[x.split()[0] for x in READ.split(", ")])
