@@ -16,7 +16,7 @@ document of n words has some 2n / (window - gram + 2) fingerprints instead of n.
 
 Judgements refer to the input, never to what is left. Defined results: null counts as empty (no words,
 SHA-256 of nothing); texts shorter than a window keep all words; a repeated row counts as another
-occurrence and is returned again; an empty table gives no rows; extra columns are ignored.
+occurrence and is returned again; a row whose id is null is treated like any other; an empty table gives no rows; extra columns are ignored.
 """
 
 from __future__ import annotations
@@ -26,7 +26,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from statewitness.llm.arrow_text import chunks, column, text_buffers
@@ -87,7 +87,7 @@ def read_fingerprints(window: int, gram: int):
     return run
 
 
-READ = "uid long, doc_id long, n_words long, sha binary, gs array<long>, ns array<long>"
+READ = "uid binary, doc_id long, n_words long, sha binary, gs array<long>, ns array<long>"
 
 
 def read_stretches(window: int, gram: int):
@@ -99,7 +99,7 @@ def read_stretches(window: int, gram: int):
             for batch in chunks(whole):
                 w, texts = scan_grams(batch, window, gram)
                 h = hashes.word_hashes(w.raw, w.starts, w.ends)
-                uids, wanted = column(batch, "uid").to_numpy(), column(batch, "gs")
+                uids, wanted = column(batch, "uid"), column(batch, "gs")
                 parts: list[tuple] = []
                 for i, lo, hi, grams in texts:
                     least = sliding(grams, window - gram + 1, np.minimum)
@@ -107,23 +107,23 @@ def read_stretches(window: int, gram: int):
                     length = np.diff(np.r_[first, len(least)])
                     hit = np.isin(least[first].view(np.int64), wanted[i].values.to_numpy())
                     if hit.any():
-                        parts.append((np.full(int(hit.sum()), uids[i]), first[hit] + lo, length[hit], least[first[hit]], np.full(int(hit.sum()), lo)))
+                        parts.append((np.full(int(hit.sum()), i), first[hit] + lo, length[hit], least[first[hit]], np.full(int(hit.sum()), lo)))
                 if not parts:
                     continue
-                uid, at, length, g, lo = (np.concatenate(x) for x in zip(*parts))
+                row, at, length, g, lo = (np.concatenate(x) for x in zip(*parts))
                 span = hashes.spans(h, at, at + length + window - 1)
                 inner = np.repeat(at, length) + (np.arange(length.sum()) - np.repeat(np.cumsum(length) - length, length))
                 each = hashes.spans(h, inner, inner + window).view(np.int64)
                 lists = pa.ListArray.from_arrays(pa.array(np.r_[0, np.cumsum(length)].astype(np.int32)), pa.array(each))
                 yield pa.RecordBatch.from_arrays(
-                    [pa.array(uid), pa.array((at - lo).astype(np.int64)), pa.array(length.astype(np.int32)), pa.array(g.view(np.int64)), pa.array(span.view(np.int64)), lists],
+                    [uids.take(pa.array(row)), pa.array((at - lo).astype(np.int64)), pa.array(length.astype(np.int32)), pa.array(g.view(np.int64)), pa.array(span.view(np.int64)), lists],
                     names=["uid", "at", "len", "g", "span", "ws"],
                 )
 
     return run
 
 
-STRETCHES = "uid long, at long, len int, g long, span long, ws array<long>"
+STRETCHES = "uid binary, at long, len int, g long, span long, ws array<long>"
 
 
 def drop_covered(window: int):
@@ -159,6 +159,11 @@ def repeated_windows(s: Scratch, stretches: DataFrame) -> DataFrame:
     return sure.select("uid", "at", "len").unionByName(windows.select("uid", (F.col("at") + F.col("k")).alias("at"), F.lit(1).alias("len")))
 
 
+def row_name() -> Column:
+    """128 bits that name a row by its id and text; repeated rows share it."""
+    return F.unhex(F.md5(F.concat(F.coalesce(F.col("doc_id").cast("string"), F.lit("-")), F.lit(" "), F.coalesce("text", F.lit("")))))
+
+
 def remove_repeats(
     docs: DataFrame,
     window: int = WINDOW,
@@ -168,7 +173,7 @@ def remove_repeats(
 ) -> DataFrame:
     """One row per document: doc_id, n_words, n_removed, kept_sha256."""
     spark = docs.sparkSession
-    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").withColumn("uid", F.xxhash64("doc_id", "text"))
+    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).withColumn("uid", row_name())
     s = Scratch(spark)
     read = s.save(texts.mapInArrow(read_fingerprints(window, gram), READ), "read")
     pairs = read.select("uid", F.explode(F.arrays_zip("gs", "ns")).alias("p")).select("uid", F.col("p.gs").alias("g"), F.col("p.ns").alias("n"))
@@ -188,13 +193,56 @@ def remove_repeats(
     for name in ("wanted", "groups", "again", "stretches"):
         s.drop(name)
     cut = keep_keys(texts, found, "uid", found.count(), broadcast_keys).select("uid", "text").join(found, "uid")
-    changed = s.save(cut.mapInArrow(drop_covered(window), "uid long, n_removed long, kept binary").dropDuplicates(["uid"]), "changed", keep=True)
+    changed = s.save(cut.mapInArrow(drop_covered(window), "uid binary, n_removed long, kept binary").dropDuplicates(["uid"]), "changed", keep=True)
     s.drop("found")
     return base.join(changed, "uid", "left").select(
         "doc_id", "n_words", F.coalesce("n_removed", F.lit(0)).cast("long").alias("n_removed"), F.lower(F.hex(F.coalesce("kept", "sha"))).alias("kept_sha256")
     )
 
 
+def read_windows(window: int):
+    """(uid, doc_id, n_words, sha, ws): the hash of every window of a text in order."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        hashes = family(WINDOW_SEED)
+        for whole in batches:
+            for batch in chunks(whole):
+                w = find_words(*text_buffers(column(batch, "text")))
+                grams = hashes.grams(hashes.word_hashes(w.raw, w.starts, w.ends), window).view(np.int64)
+                ws = [grams[lo : max(lo, hi - window + 1)] for lo, hi in zip(w.docs[:-1].tolist(), w.docs[1:].tolist())]
+                sha = [hashlib.sha256(b" ".join((t or "").encode().split())).digest() for t in column(batch, "text").to_pylist()]
+                columns = [column(batch, "uid"), column(batch, "doc_id"), pa.array(np.diff(w.docs).astype(np.int64)), pa.array(sha, pa.binary()), pa.array(ws, pa.list_(pa.int64()))]
+                yield pa.RecordBatch.from_arrays(columns, names=["uid", "doc_id", "n_words", "sha", "ws"])
+
+    return run
+
+
+def ingest(docs: DataFrame, index: FingerprintIndex, window: int = WINDOW) -> DataFrame:
+    """A batch against all that ``index`` holds: one row per document, as ``remove_repeats`` gives; the batch enters the index.
+
+    ``index`` is kept by the caller from batch to batch. Its runs hold the hash of every window of the batches
+    before, with its number; the new batch is one more sorted run, met with them in merge joins, and runs are
+    compacted then. A window goes if it starts elsewhere in this batch or in any batch before; texts of
+    earlier batches are not changed any more, so the rows of the last batch equal those of one run over all batches.
+    """
+    s = Scratch(docs.sparkSession)
+    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).withColumn("uid", row_name())
+    read = s.save(texts.mapInArrow(read_windows(window), "uid binary, doc_id long, n_words long, sha binary, ws array<long>"), "windows", keep=True)
+    places = read.select("uid", F.posexplode("ws").alias("at", "g"))
+    counts = s.save(places.groupBy("g").agg(F.count("*").alias("n")), "batch")
+    before = index.known(counts.select("g")).select("g", F.lit(True).alias("seen"))
+    again = counts.join(before, "g", "left").filter(F.coalesce("seen", F.lit(False)) | (F.col("n") > 1)).select("g")
+    found = places.distinct().join(again, "g", "left_semi").groupBy("uid").agg(F.collect_list(F.col("at").cast("long")).alias("ats"), F.collect_list(F.lit(1)).alias("lens"))
+    cut = texts.dropDuplicates(["uid"]).select("uid", "text").join(found, "uid")
+    changed = s.save(cut.mapInArrow(drop_covered(window), "uid binary, n_removed long, kept binary"), "changed", keep=True)
+    index.ingest(counts)
+    index.compact()
+    s.drop("batch")
+    return read.select("uid", "doc_id", "n_words", "sha").join(changed, "uid", "left").select(
+        "doc_id", "n_words", F.coalesce("n_removed", F.lit(0)).cast("long").alias("n_removed"), F.lower(F.hex(F.coalesce("kept", "sha"))).alias("kept_sha256")
+    )
+
+
 def query(spark, sf_dir: str) -> DataFrame:
     return remove_repeats(spark.read.parquet(f"{sf_dir}/documents.parquet"))
 
