@@ -9,6 +9,10 @@ each length. The solver works on those counts alone (a bounded table), with patt
   bins so far plus the bins that the rest needs at least can't beat the incumbent (the waste bound);
 * the search stops when the incumbent meets the lower bound, or after ``node_limit`` nodes.
 
+What a node enumerates is bounded: at most four undominated fillings, each a greedy head and up to three lengths
+from the 16 fullest pairs and the 64 largest first lengths; dominance is tested length by length. So a search
+that ends without meeting the bound does not prove its packing best; ``Plan.lower_bound`` tells the gap.
+
 The plan is then dealt to pieces by their rank within their length: ranks are local running numbers
 plus prefix sums over input partitions, so no task holds a whole length class.
 

@@ -8,7 +8,7 @@ lookup, without a shuffle.
 
 Defined results: the key is the text form of the id; a null key is placed like an empty one; equal keys
 share a shard, so repeated rows stay together; an empty table gives no rows; extra columns are
-ignored. At least one shard is needed, and names are distinct.
+carried along, but for input columns named ``slot`` or ``shard``, which the results replace. At least one shard is needed, and names are distinct.
 """
 
 from __future__ import annotations
@@ -54,7 +54,8 @@ def place(df: DataFrame, key: str = "doc_id", shards: tuple[str, ...] = SHARDS,
     """``df`` with the slot and the shard number of each row."""
     rows = [(k, int(v)) for k, v in enumerate(lookup_table(shards, slots))]
     table = df.sparkSession.createDataFrame(rows, "slot int, shard int")
-    return df.withColumn("slot", slot_of(F.col(key), slots)).join(F.broadcast(table), "slot")  # ``slots`` rows, fixed
+    others = [F.col(f"`{c}`") for c in df.columns if c not in ("slot", "shard")]
+    return df.select(*others, slot_of(F.col(f"`{key}`"), slots).alias("slot")).join(F.broadcast(table), "slot")  # ``slots`` rows, fixed
 
 
 def write_shards(df: DataFrame, path: str, key: str = "doc_id", shards: tuple[str, ...] = SHARDS, files_each: int = 8) -> None:

@@ -160,6 +160,19 @@ def test_windows_edge_cases(spark):
     assert sorted((r["doc_id"], r["n_words"], r["n_removed"]) for r in got) == [(1, 50, 50), (1, 50, 50), (2, 1, 0)]
 
 
+def test_batches_meet_the_index(spark):
+    """The last of three batches is cleaned as in one run over all of them; ids may be shared or missing."""
+    texts = corpus(9)
+    rows = [(None if k % 17 == 0 else k % 40, t, k % 3) for k, t in enumerate(texts)]
+    want = [(d, *w) for (d, _, b), w in zip(rows, windows_brute(texts, 12)) if b == 2]
+    with Scratch(spark) as s:
+        index = FingerprintIndex(spark, s.path("kept"), buckets=4)
+        for b in range(3):
+            got = substring_dedup.ingest(spark.createDataFrame([r[:2] for r in rows if r[2] == b], EMPTY), index, 12).collect()
+        assert sorted(map(str, map(tuple, got))) == sorted(map(str, want)) and len(index.runs) == 1
+        index.close()
+
+
 def test_index_runs_merge_and_compact(spark):
     with Scratch(spark) as s:
         index = FingerprintIndex(spark, s.path("index"), buckets=4)
@@ -210,6 +223,25 @@ def test_fuzzy_lines(spark, monkeypatch):
     assert line_dedup.dedup_lines(spark.createDataFrame([], EMPTY)).count() == 0
 
 
+def test_lines_without_blanks(spark):
+    """Solid, Chinese and tab-separated lines that differ in one character, and documents told apart by id and text."""
+    r, han = random.Random(5), [chr(0x4E00 + k) for k in range(2000)]
+    solid = lambda n, of="abcdefghijklmnopqrstuvwxyz0123456789": "".join(r.choice(of) for _ in range(n))
+    texts = []
+    for _ in range(20):
+        for line in (solid(120), solid(120, han), "\t".join(solid(20) for _ in range(6)), " ".join(solid(14) for _ in range(9))):
+            k = r.randrange(8, 100)
+            texts += [line, line[:k] + "-" + line[k + 1 :]]
+    r.shuffle(texts)
+    got = line_dedup.dedup_lines(frame(spark, texts)).collect()
+    want = lines_brute(texts)
+    assert {x["doc_id"]: (x["n_lines"], x["n_removed"], x["kept_sha256"]) for x in got} == dict(enumerate(want)) and sum(w[1] for w in want) > 60
+    same = "some line that repeats itself here"
+    rows = [(2**45 + 7, same + "\nother"), (7, same), (1, "a first text"), (1, "a first text"), (1, "yet another line"), (None, same + "\nits own"), (None, None)]
+    got = sorted(((x["doc_id"], x["n_lines"], x["n_removed"]) for x in line_dedup.dedup_lines(spark.createDataFrame(rows, EMPTY)).collect()), key=str)
+    assert got == sorted([(2**45 + 7, 2, 1), (7, 1, 0), (1, 1, 0), (1, 1, 0), (1, 1, 0), (None, 2, 1), (None, 0, 0)], key=str)
+
+
 def test_edited_copies_of_one_line(spark):
     """A hot group at the default leaf size: pairs that are not alike to a pivot, also outside the largest component."""
     r, words = random.Random(17), vocabulary(17)
