@@ -2,9 +2,14 @@
 
 from __future__ import annotations
 
+from functools import reduce
+
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+#: Most query vectors that are broadcast at once (64 floats each: some ten MB).
+QUERY_BLOCK = 20_000
+
 
 def as_of(left: DataFrame, right: DataFrame, by: list[str], left_ts: str, right_ts: str, value: str, direction: str = "backward") -> DataFrame:
     """Each left row with the nearest right row of its group at or before it (or after it).
@@ -42,8 +47,17 @@ def salted_join(big: DataFrame, small: DataFrame, on: str, salts: int = 8, salt_
 def nearest_vectors(queries: DataFrame, vectors: DataFrame, k: int) -> DataFrame:
     """The k most alike vectors (cosine) of each query: (query, vec_id, cosine, rank).
 
-    Queries are a stated bounded set and are broadcast; each task keeps its own k before ranks are given.
+    Queries are counted and broadcast in blocks of at most ``QUERY_BLOCK``, each with a scan of the vectors of its
+    own; each task keeps its own k before ranks are given.
     """
+    blocks = -(-queries.count() // QUERY_BLOCK)
+    if blocks > 1:
+        part = F.pmod(F.xxhash64("vec_id"), F.lit(blocks))
+        return reduce(DataFrame.unionByName, [_nearest(queries.filter(part == b), vectors, k) for b in range(blocks)])
+    return _nearest(queries, vectors, k)
+
+
+def _nearest(queries: DataFrame, vectors: DataFrame, k: int) -> DataFrame:
     dot = lambda a, b: F.aggregate(F.zip_with(a, b, lambda x, y: x.cast("double") * y.cast("double")), F.lit(0.0), lambda s, x: s + x)
     q = queries.select(F.col("vec_id").alias("query"), F.col("embedding").alias("q"))
     rows = vectors.select("vec_id", "embedding").crossJoin(F.broadcast(q)).filter("vec_id <> query")

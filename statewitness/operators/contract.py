@@ -111,8 +111,8 @@ def validate(clauses: DataFrame, lines: DataFrame) -> DataFrame:
     """
     twins = clauses.groupBy("tool", "clause_id").agg(F.count("*").alias("twins"))
     at = lines.select(F.col("file").alias("f"), F.col("line").alias("at"), F.col("text").alias("on_line"), F.col("kind").alias("line_kind"))
-    rows = clauses.join(twins, ["tool", "clause_id"]).join(F.broadcast(at), (F.col("file") == F.col("f")) & (F.col("line") == F.col("at")), "left")
-    prompts = clauses.filter("surface = 'prompt'").join(F.broadcast(at), F.col("file") == F.col("f")).filter(F.col("on_line").contains(F.col("quote"))).select("tool", "clause_id").distinct().withColumn("in_file", F.lit(True))
+    rows = clauses.join(twins, ["tool", "clause_id"]).join(at, (F.col("file") == F.col("f")) & (F.col("line") == F.col("at")), "left")
+    prompts = clauses.filter("surface = 'prompt'").join(at, F.col("file") == F.col("f")).filter(F.col("on_line").contains(F.col("quote"))).select("tool", "clause_id").distinct().withColumn("in_file", F.lit(True))
     rows = rows.join(prompts, ["tool", "clause_id"], "left")
     quoted = F.coalesce(F.col("on_line").contains(F.col("quote")), F.lit(False))
     reads_state = F.exists("paths", lambda p: p.startswith("pre.") | p.startswith("post.") | p.startswith("result"))

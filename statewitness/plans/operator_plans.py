@@ -84,7 +84,7 @@ def join_asof_nearest(s, d):
     return rows.select("event_id", near.getField("error_id").alias("error_id"))
 
 
-op("join_nullsafe", "SELECT a.doc_id, count(*) AS n FROM (SELECT doc_id, CASE WHEN quality = 0 THEN NULL ELSE quality END AS q FROM labels WHERE doc_id < 100) a JOIN (SELECT 1 AS q UNION ALL SELECT NULL) b ON a.q IS NOT DISTINCT FROM b.q GROUP BY 1")(lambda s, d: (lambda a, b: a.join(F.broadcast(b), a["q"].eqNullSafe(b["q"])).groupBy("doc_id").agg(F.count("*").alias("n")))(load(s, d, "labels").filter("doc_id < 100").select("doc_id", F.nullif("quality", F.lit(0)).alias("q")), s.createDataFrame([(1,), (None,)], "q int")))
+op("join_nullsafe", "SELECT a.doc_id, count(*) AS n FROM (SELECT doc_id, CASE WHEN quality = 0 THEN NULL ELSE quality END AS q FROM labels) a JOIN (SELECT 1 AS q UNION ALL SELECT NULL) b ON a.q IS NOT DISTINCT FROM b.q GROUP BY 1")(lambda s, d: (lambda a, b: a.join(F.broadcast(b), a["q"].eqNullSafe(b["q"])).groupBy("doc_id").agg(F.count("*").alias("n")))(load(s, d, "labels").select("doc_id", F.nullif("quality", F.lit(0)).alias("q")), s.createDataFrame([(1,), (None,)], "q int")))
 op("join_self", "SELECT a.l_orderkey, count(*) AS n FROM lineitem a JOIN lineitem b ON a.l_orderkey = b.l_orderkey AND a.l_partkey < b.l_partkey GROUP BY 1")(lambda s, d: (lambda l: l.alias("a").join(l.alias("b"), F.expr("a.l_orderkey = b.l_orderkey AND a.l_partkey < b.l_partkey")).groupBy("a.l_orderkey").agg(F.count("*").alias("n")))(load(s, d, "lineitem").select("l_orderkey", "l_partkey")))
 op("join_skew_salted", "SELECT event_type, count(*) AS n, sum(weight)::BIGINT AS weight FROM events JOIN (VALUES ('purchase', 3), ('error', 2), ('signup', 1)) w(event_type, weight) USING (event_type) GROUP BY 1")(lambda s, d: J.salted_join(load(s, d, "events").select("event_id", "event_type"), s.createDataFrame([("purchase", 3), ("error", 2), ("signup", 1)], "event_type string, weight int"), "event_type", salt_from=F.col("event_id")).groupBy("event_type").agg(F.count("*").alias("n"), F.sum("weight").alias("weight")))
 
@@ -135,7 +135,7 @@ op("win_rows_frame", "SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER
 op("win_range_interval", "SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY ts RANGE BETWEEN INTERVAL 1 DAY PRECEDING AND CURRENT ROW) AS n FROM events")(lambda s, d: (events_of(s, d).createOrReplaceTempView("range_events"), s.sql("SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY ts RANGE BETWEEN INTERVAL 1 DAY PRECEDING AND CURRENT ROW) AS n FROM range_events"))[1])
 op("topk_global", "SELECT o_orderkey FROM orders ORDER BY o_totalprice DESC, o_orderkey LIMIT 10")(lambda s, d: load(s, d, "orders").orderBy(F.desc("o_totalprice"), "o_orderkey").limit(10).select("o_orderkey"))
 op("topk_group", "SELECT o_orderkey, k FROM (SELECT o_orderkey, row_number() OVER (PARTITION BY o_custkey ORDER BY o_totalprice DESC, o_orderkey) AS k FROM orders) WHERE k <= 2")(lambda s, d: load(s, d, "orders").select("o_orderkey", F.row_number().over(Window.partitionBy("o_custkey").orderBy(F.desc("o_totalprice"), "o_orderkey")).alias("k")).filter("k <= 2"))
-op("sort_nulls", "SELECT doc_id, q, row_number() OVER (ORDER BY q ASC NULLS LAST, doc_id) AS k FROM (SELECT doc_id, nullif(quality, 0) AS q FROM labels) ORDER BY k LIMIT 500")(lambda s, d: load(s, d, "labels").select("doc_id", F.nullif("quality", F.lit(0)).alias("q")).orderBy(F.asc_nulls_last("q"), "doc_id").limit(500).select("doc_id", "q", F.row_number().over(Window.orderBy(F.asc_nulls_last("q"), "doc_id")).alias("k")))
+op("sort_nulls", "SELECT doc_id, q, row_number() OVER (PARTITION BY doc_id % 64 ORDER BY q ASC NULLS LAST, doc_id) AS k FROM (SELECT doc_id, nullif(quality, 0) AS q FROM labels)")(lambda s, d: load(s, d, "labels").select("doc_id", F.nullif("quality", F.lit(0)).alias("q")).select("doc_id", "q", F.row_number().over(Window.partitionBy(F.col("doc_id") % 64).orderBy(F.asc_nulls_last("q"), "doc_id")).alias("k")))
 op("limit_offset", "SELECT o_orderkey FROM orders ORDER BY o_orderkey LIMIT 20 OFFSET 40")(lambda s, d: load(s, d, "orders").select("o_orderkey").orderBy("o_orderkey").offset(40).limit(20))
 flagged = lambda s, d, f: load(s, d, "lineitem").filter(F.col("l_returnflag") == f).select("l_orderkey")
 FLAG = "SELECT l_orderkey FROM lineitem WHERE l_returnflag = '{}'"
@@ -268,10 +268,10 @@ def op_apply_in_pandas(s, d):
     return small(s, d).groupBy("p_brand").applyInPandas(lambda p: pd.DataFrame({"p_brand": [p["p_brand"].iloc[0]], "n": [len(p)]}), "p_brand string, n long")
 
 
-@op("cogroup", "SELECT k, count(*) FILTER (side = 'a') AS before, count(*) FILTER (side = 'b') AS after FROM (SELECT o_custkey AS k, 'a' AS side FROM orders UNION ALL SELECT o_custkey, 'b' FROM orders WHERE o_orderstatus = 'F') WHERE k < 50 GROUP BY 1")
+@op("cogroup", "SELECT k, count(*) FILTER (side = 'a') AS before, count(*) FILTER (side = 'b') AS after FROM (SELECT o_custkey AS k, 'a' AS side FROM orders UNION ALL SELECT o_custkey, 'b' FROM orders WHERE o_orderstatus = 'F') GROUP BY 1")
 def op_cogroup(s, d):
     """Snapshots before and after, entity by entity."""
-    rows = load(s, d, "orders").filter("o_custkey < 50").select(F.col("o_custkey").alias("k"), "o_orderstatus")
+    rows = load(s, d, "orders").select(F.col("o_custkey").alias("k"), "o_orderstatus")
     both = lambda key, a, b: pd.DataFrame({"k": [key[0]], "before": [len(a)], "after": [len(b)]})
     return rows.groupBy("k").cogroup(rows.filter("o_orderstatus = 'F'").groupBy("k")).applyInPandas(both, "k long, before long, after long")
 
