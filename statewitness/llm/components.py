@@ -17,6 +17,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from statewitness.llm.arrow_text import tidied
 from statewitness.llm.scratch import Scratch
 
 #: Most edges that a task contracts by itself (some tens of MB).
@@ -93,5 +94,5 @@ def grown(comp: DataFrame | None, edges: DataFrame, n_edges: int, s: Scratch, na
     if native:
         return components(edges, s, name)
     tasks = -(-n_edges // TASK_EDGES) or 1
-    stars = s.save(edges.select("a", "b").coalesce(tasks).mapInArrow(_contracted, "a long, b long"), f"{name}-stars")
+    stars = s.save(edges.select("a", "b").coalesce(tasks).mapInArrow(tidied(_contracted), "a long, b long"), f"{name}-stars")
     return stars.select(F.col("b").alias("id"), F.col("a").alias("component")) if tasks == 1 else components(stars, s, name)

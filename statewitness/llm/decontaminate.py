@@ -28,7 +28,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from statewitness.llm.arrow_text import chunks, column, text_buffers
+from statewitness.llm.arrow_text import chunks, column, text_buffers, tidied
 from statewitness.llm.wordhash import Family, Words, family, find_words, inside, mix
 
 SEED_WORDS = 3
@@ -228,7 +228,7 @@ def find_leaks(
     texts = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string"))
     found = None
     for ids, shared in lookups(spark, benchmark, n, block_bytes):
-        rows = texts.mapInArrow(align(shared, n, threshold), MATCHES)
+        rows = texts.mapInArrow(tidied(align(shared, n, threshold)), MATCHES)
         names = spark.createDataFrame([(k, i) for k, i in enumerate(ids)], "item int, item_id long")
         part = rows.join(F.broadcast(names), "item").select("doc_id", "item_id", "score", "start_word", "end_word")
         found = part if found is None else found.unionByName(part)
@@ -254,7 +254,7 @@ def without_leaks(docs: DataFrame, benchmark: DataFrame, n: int = SEED_WORDS, th
                     clean[found.column(0).to_numpy(zero_copy_only=False)] = False
                 yield batch.filter(pa.array(clean))
 
-        rows = rows.mapInArrow(run, rows.schema)
+        rows = rows.mapInArrow(tidied(run), rows.schema)
     return rows.select("row.*")
 
 

@@ -36,7 +36,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from statewitness.llm.arrow_text import chunks, column, text_buffers
+from statewitness.llm.arrow_text import chunks, column, text_buffers, tidied
 from statewitness.llm.bounded import BROADCAST_KEYS, keep_keys
 from statewitness.llm.components import grown
 from statewitness.llm.scratch import Scratch
@@ -292,7 +292,7 @@ class Search:
         wanted, seen = self.s.save_seen(named, f"wanted-{self.step}")
         if seen["n"]:
             chosen = keep_keys(self.texts, wanted, "key", seen["n"], self.broadcast_keys)
-            sets = chosen.mapInArrow(shingle_sets(self.words_each), "digest binary, n int, items array<long>").dropDuplicates(["digest", "n"])
+            sets = chosen.mapInArrow(tidied(shingle_sets(self.words_each)), "digest binary, n int, items array<long>").dropDuplicates(["digest", "n"])
             more = self.s.save(sets.join(wanted.select("rep", "digest", "n"), ["digest", "n"]).select("rep", "items"), f"sets-{self.step}")
             self.sets = more if self.sets is None else self.sets.union(more)
 
@@ -361,7 +361,7 @@ def classify(docs: DataFrame, s: Scratch, words_each: int, percent: int, target_
     """
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     texts = rows.select("doc_id", "text", F.xxhash64("doc_id", "text").alias("key"), F.unhex(F.md5(F.coalesce("text", F.lit("")))).alias("mark"))
-    signed = s.save(texts.mapInArrow(sign(words_each), SIGNED), "signed")
+    signed = s.save(texts.mapInArrow(tidied(sign(words_each)), SIGNED), "signed")
     merged = signed.filter("n > 0").groupBy("digest", "n").agg(F.min("doc_id").alias("least"), F.min("key").alias("key"), F.first("sig").alias("sig"))
     classes = s.save(merged.select(F.monotonically_increasing_id().alias("rep"), "n", "digest", "least", "key", "sig", *short_codes()), "classes")
     q = Search(rows.select("text", F.xxhash64("doc_id", "text").alias("key")), classes, s, words_each, percent, broadcast_keys)

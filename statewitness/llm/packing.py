@@ -35,7 +35,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from statewitness.llm.arrow_text import column
+from statewitness.llm.arrow_text import column, tidied
 from statewitness.llm.scratch import Scratch
 
 CAPACITY = 2048
@@ -341,7 +341,7 @@ def pack(docs: DataFrame, tokenizer_path: str, capacity: int = CAPACITY, end_id:
     """One row per piece of every document: where it starts, how long it is, and where it was packed."""
     spark = docs.sparkSession
     s = Scratch(spark)
-    pieces = s.save(docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(cut_pieces(tokenizer_path, capacity, end_id, word_memory), PIECES), "pieces", keep=True)
+    pieces = s.save(docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(tidied(cut_pieces(tokenizer_path, capacity, end_id, word_memory)), PIECES), "pieces", keep=True)
     per_part = s.save(pieces.groupBy("length", "part").agg(F.count("*").alias("n")), "per_part", keep=True)
     counts = np.zeros(capacity + 1, np.int64)
     for row in per_part.groupBy("length").agg(F.sum("n").alias("n")).collect():  # one row for each length, at most ``capacity``
@@ -350,7 +350,7 @@ def pack(docs: DataFrame, tokenizer_path: str, capacity: int = CAPACITY, end_id:
     before = Window.partitionBy("length").orderBy("part").rowsBetween(Window.unboundedPreceding, -1)
     base = per_part.select("length", "part", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("base"))
     ranked = pieces.join(base, ["length", "part"]).withColumn("rank", F.col("rank") + F.col("base"))
-    return ranked.select("doc_id", "piece", "start", "length", "ids_crc32", "rank").mapInArrow(place(table), PACKED)
+    return ranked.select("doc_id", "piece", "start", "length", "ids_crc32", "rank").mapInArrow(tidied(place(table)), PACKED)
 
 
 def word_tokenizer() -> str:

@@ -31,7 +31,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from statewitness.llm.arrow_text import column, text_buffers, text_slices
+from statewitness.llm.arrow_text import column, text_buffers, text_slices, tidied
 from statewitness.llm.wordhash import SPACE, family, find_words
 
 QUALITY_SEED = 101
@@ -141,7 +141,7 @@ def _scanned(rows: DataFrame, text_of: Callable[[pa.RecordBatch], pa.Array]) ->
                 yield pa.RecordBatch.from_arrays([column(batch, "carried"), *[pa.array(x[:, k]) for k in range(len(FEATURES))]], names=["carried", *[f"f_{k}" for k in FEATURES]])
 
     schema = T.StructType([rows.schema["carried"], *[T.StructField(f"f_{k}", T.DoubleType()) for k in FEATURES]])
-    return rows.mapInArrow(run, schema)
+    return rows.mapInArrow(tidied(run), schema)
 
 
 # --- trees and rules --------------------------------------------------------------------------------

@@ -31,6 +31,11 @@ def shared_root(spark: SparkSession) -> str:
     return root
 
 
+#: Rows of an Arrow batch that goes to a Python worker: buffers of both sides hold one batch a task.
+BATCH_ROWS = 2000
+BATCH_SETTING = "spark.sql.execution.arrow.maxRecordsPerBatch"
+
+
 class Scratch:
     """Named Parquet tables of one run; leaving the block deletes all that ``keep`` has not named."""
 
@@ -53,8 +58,12 @@ class Scratch:
         """Write ``df`` as Parquet and return the table read back (schema given, so no inference job)."""
         if name in self.paths:
             self.drop(name)
-        path = self.path(name)
-        df.write.options(**options).parquet(path)
+        path, rows = self.path(name), self.spark.conf.get(BATCH_SETTING)
+        self.spark.conf.set(BATCH_SETTING, str(min(BATCH_ROWS, int(rows)) if int(rows) > 0 else BATCH_ROWS))
+        try:
+            df.write.options(**options).parquet(path)
+        finally:
+            self.spark.conf.set(BATCH_SETTING, rows)
         self.paths[name] = path
         if keep:
             self.kept.add(name)

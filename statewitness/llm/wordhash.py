@@ -26,20 +26,29 @@ def mix(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> np.uint64(32))
 
 
+#: Most powers that are kept between texts (8 MB); longer texts have theirs made anew.
+KEPT_POWERS = 1 << 20
+
+
 class Powers:
-    """Powers of an odd number and of its inverse modulo 2**64, as far as asked for."""
+    """Powers of an odd number and of its inverse modulo 2**64; a bounded number of them is kept."""
 
     def __init__(self, base: int):
         self.base, self.inverse = base, pow(base, -1, 1 << 64)
         self.up = self.down = np.ones(0, np.uint64)
 
+    @staticmethod
+    def made(b: int, n: int) -> np.ndarray:
+        out = np.full(n, b, np.uint64)
+        out[0] = 1
+        return np.multiply.accumulate(out)
+
     def get(self, n: int) -> tuple[np.ndarray, np.ndarray]:
+        if n > KEPT_POWERS:
+            return self.made(self.base, n), self.made(self.inverse, n)
         if len(self.up) < n:
             size = max(n, 1 << 16)
-            for name, b in (("up", self.base), ("down", self.inverse)):
-                out = np.full(size, b, np.uint64)
-                out[0] = 1
-                setattr(self, name, np.multiply.accumulate(out))
+            self.up, self.down = self.made(self.base, size), self.made(self.inverse, size)
         return self.up[:n], self.down[:n]
 
 
