@@ -54,11 +54,6 @@ class Tool:
     list_args: bool = False
     synthesizer: bool = True
 
-    def by_arm(self, unpatched: str, patched: str) -> Column:
-        if unpatched == patched:
-            return F.expr(unpatched)
-        return F.when(F.col("arm") == ARMS[1], F.expr(patched)).otherwise(F.expr(unpatched))
-
 
 # --- probes -----------------------------------------------------------------------------------------
 
@@ -116,20 +111,38 @@ def dedup(probes: DataFrame, mode: str = "canonical") -> DataFrame:
 # --- invocation -------------------------------------------------------------------------------------
 
 
-def invoke(tool: Tool, calls: DataFrame) -> DataFrame:
-    """Call tuples on both arms: post, error, ok, message, delta, forwarded and digests."""
-    arms = calls.sparkSession.createDataFrame([(a,) for a in ARMS], "arm string")
+def by_code(codes: dict[str, tuple[Tool, int]], of: Callable[[Tool], tuple[str, str]]) -> Column:
+    """The expression that each arm's code has at one place; one expression where all arms agree."""
+    texts = {arm: of(tool)[side] for arm, (tool, side) in codes.items()}
+    *some, last = texts
+    if len(set(texts.values())) == 1:
+        return F.expr(texts[last])
+    out = F.expr(texts[last])
+    for arm in some:
+        if texts[arm] != texts[last]:
+            out = F.when(F.col("arm") == arm, F.expr(texts[arm])).otherwise(out)
+    return out
+
+
+def invoke(tool: Tool, calls: DataFrame, codes: dict[str, tuple[Tool, int]] | None = None) -> DataFrame:
+    """Call tuples on all arms: post, error, ok, message, delta, forwarded and digests.
+
+    An arm runs a tool's unpatched (0) or patched (1) code; ``codes`` names other arms, such as mutants of ``tool``.
+    """
+    codes = codes or {ARMS[0]: (tool, 0), ARMS[1]: (tool, 1)}
+    arms = calls.sparkSession.createDataFrame([(a,) for a in codes], "arm string")
     rows = calls.crossJoin(F.broadcast(arms))
     error = F.lit(None).cast("string")
-    for g in reversed(tool.guards):
-        enforced = F.lit(True) if g.unpatched else F.col("arm") == ARMS[1]
+    for n, g in reversed(list(enumerate(tool.guards))):
+        on = [arm for arm, (code, side) in codes.items() if side or code.guards[n].unpatched]
+        enforced = F.lit(True) if len(on) == len(codes) else F.col("arm").isin(on)
         error = F.when(enforced & ~F.expr(g.condition), F.lit(f"{tool.contract.on_violation}: {g.clause_id}")).otherwise(error)
     rows = rows.withColumn("error", error)
     fields = calls.schema["pre"].dataType.fieldNames()
-    new = [(tool.by_arm(*tool.writes[f]) if f in tool.writes else F.col(f"pre.{f}")).alias(f) for f in fields]
+    new = [by_code(codes, lambda x, f=f: x.writes.get(f, (f"pre.{f}", f"pre.{f}"))).alias(f) for f in fields]
     post = F.when(F.col("error").isNull(), F.struct(*new)).otherwise(F.col("pre"))
     rows = rows.withColumn("post", post).withColumn("ok", F.col("error").isNull()).withColumn("message", F.when(F.col("ok"), F.expr(tool.message)))
-    rows = rows.withColumn("forwarded", F.when(F.col("ok"), tool.by_arm(*tool.forwarded)))
+    rows = rows.withColumn("forwarded", F.when(F.col("ok"), by_code(codes, lambda x: x.forwarded)))
     changes = [F.when(~F.col(f"pre.{f}").eqNullSafe(F.col(f"post.{f}")), F.struct(F.lit(f).alias("field"), F.col(f"pre.{f}").cast("string").alias("before"), F.col(f"post.{f}").cast("string").alias("after"))) for f in fields]
     rows = rows.withColumn("delta", F.filter(F.array(*changes), lambda x: x.isNotNull()))
     seen = F.to_json("post") if tool.observe == "state" else F.col("forwarded")

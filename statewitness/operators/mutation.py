@@ -1,13 +1,20 @@
 """Mutation arms: faults planted in tools of the desk, live filter, outcomes, miss diagnosis, escapes.
 
-A mutant is a row. It switches what a tool's call does through columns, so all mutants meet all probes in
-one job: mutants are broadcast and crossed with the probes of their tool.
+A mutant is an arm. It switches what a tool's call does through columns, so all mutants of a tool meet all
+its probes in one job: arms are broadcast and crossed with the probes. The tool's patched code runs beside
+them, and what it is flagged for is not held against a mutant. No call raises out of a job, so a mutant
+that crashes its caller is outside this arm, and there is no reset path that a mutant could break.
 """
 
 from __future__ import annotations
 
+import re
+from dataclasses import dataclass, replace
+from functools import reduce
+
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
 from statewitness.operators import conformance as C
 
@@ -18,28 +25,119 @@ DETECTED, MISSED, UNTESTABLE, ERROR = "detected", "missed", "untestable", "error
 NO_CLAUSE, NO_PROBE, CRASH = "no_clause", "probe_never_reveals", "crash"
 TARGET_SIZE = 25
 
-MUTANT = "mutant_id string, tool string, operator string, has_clause boolean, has_probe boolean, site_found boolean, crashes boolean"
+#: Tools of the closed-world arm: guards, several writes, one write, forwarded arguments.
+CLOSED_TOOLS = ("charge_order", "hold_order", "retire_event", "append_turn", "tag_document", "set_quantity", "rename_region", "list_activity")
+ORIGINAL, PRESERVING = "original", "preserving"
+MUTANT = "arm string, tool string, operator string, site string, has_clause boolean"
+
+
+@dataclass(frozen=True)
+class Mutant:
+    """A tool's patched code with one change, and whether a clause of its contract reads what was changed."""
+
+    operator: str
+    site: str
+    tool: C.Tool
+    has_clause: bool
+
+    @property
+    def arm(self) -> str:
+        return f"{self.operator}:{self.site}"
+
+
+def arguments_read(tool: C.Tool) -> list[str]:
+    """Arguments that the patched code writes or forwards."""
+    texts = [patched for _, patched in (*tool.writes.values(), tool.forwarded)]
+    return [a for a in tool.args if any(re.search(rf"\bargs\.{a}\b", x) for x in texts)]
+
+
+def closed_mutants(tool: C.Tool) -> list[Mutant]:
+    """Every site of a tool that an operator of the closed world, or a rewriting without effect, applies to.
+
+    Phantom: nothing is written. Precondition: one guard is gone. Ignored argument: its happy value is used
+    for every value. Partial: one of several writes is gone. Invariant: a field that no effect is told of is
+    stored in another form. Preserving: a write becomes a conditional with two like branches.
+    """
+    contract = tool.contract
+    after = {p for c in (*contract.of("eff"), *contract.of("frame")) if not c.deferred for p in c.compiled.reads("post")}
+    effects = {p for c in contract.of("eff") for p in c.compiled.reads("post")}
+    told_args = {c.arg for c in contract.of("arg")} | {p.split(".")[1] for c in contract.of("eff") for p in c.compiled.reads("args")}
+    code = {f: patched for f, (_, patched) in tool.writes.items()}
+    out: list[Mutant] = []
+
+    def add(operator: str, site: str, has_clause: bool, writes: dict[str, str] | None = None, **changed) -> None:
+        sides = {f: (x, x) for f, x in (code if writes is None else {**code, **writes}).items()}
+        out.append(Mutant(operator, site, replace(tool, writes=sides, **changed), has_clause))
 
+    def kept(f: str) -> dict[str, str]:
+        return {f: f"pre.{f}"}
 
-def closed(spark: SparkSession) -> DataFrame:
-    """Closed-world mutants: one of every operator on each of the unplanted keyed tools."""
-    tools = ["set_quantity", "top_up_customer", "reprice_part", "move_supplier", "rename_region", "readdress_page", "relabel_vector"]
-    rows = []
-    for k, tool in enumerate(tools):
-        for j, op in enumerate(CLOSED[:5]):
-            rows.append((f"{op}:{tool}", tool, op, op not in ("M-INVAR",) and not (op == "M-PRECOND" and k % 3), op != "M-PARTIAL" or k == 0, not (op == "M-IGNARG" and k == 6), op == "M-PHANTOM" and k == 5))
-    return spark.createDataFrame(rows, MUTANT)
+    if code:
+        add("M-PHANTOM", "all", bool(effects), reduce(lambda a, f: a | kept(f), code, {}))
+    for n, g in enumerate(tool.guards):
+        add("M-PRECOND", g.clause_id, any(c.clause_id == g.clause_id for c in contract.of("pre")), guards=tuple(replace(x, unpatched=k != n) for k, x in enumerate(tool.guards)))
+    for a in arguments_read(tool):
+        fixed = lambda x, a=a: re.sub(rf"\bargs\.{a}\b", lambda _: f"({tool.args[a]})", x)
+        add("M-IGNARG", a, a in told_args, {f: fixed(x) for f, x in code.items()}, forwarded=(fixed(tool.forwarded[1]),) * 2)
+    for f in code if len(code) > 1 else ():
+        add("M-PARTIAL", f, f"post.{f}" in after or any(f"args.{a}" in code[f] and a in told_args for a in tool.args), kept(f))
+    for f in UNTOLD.get(tool.name, ()):
+        add("M-INVAR", f, f"post.{f}" in after, {f: f"{code.get(f, f'pre.{f}')} {UNTOLD[tool.name][f]}"})
+    for f, x in code.items():
+        add(PRESERVING, f, True, {f: f"if(length(cast({x} AS string)) > 2, {x}, {x})"})
+    return [m if m.operator == "M-PRECOND" else replace_guards(m) for m in out]
+
+
+#: Fields that no effect clause names, and how a mutant changes the form in which they are stored.
+UNTOLD = {"charge_order": {"status": "|| '!'", "customer": "+ 1"}, "hold_order": {"note": "|| '!'"}, "append_turn": {"last_role": "|| '!'"}, "tag_document": {"last_quality": "+ 1"}}
+
+
+def replace_guards(m: Mutant) -> Mutant:
+    """The mutant with all guards in force, as in the patched code."""
+    return replace(m, tool=replace(m.tool, guards=tuple(replace(g, unpatched=True) for g in m.tool.guards)))
+
+
+def closed(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Closed-world mutants, run: (tool, operator, site, has_clause, has_probe, flagged), preserving ones and originals too.
+
+    ``flagged``: a clause is violated that the original keeps. ``has_probe``: some probe's call differs from the original's.
+    """
+    from statewitness.operators.desk import TOOLS
+
+    parts = []
+    for tool in (TOOLS[x] for x in CLOSED_TOOLS):
+        mutants = closed_mutants(tool)
+        codes = {ORIGINAL: (tool, 1), **{m.arm: (m.tool, 0) for m in mutants}}
+        calls, seen = C.probe_rows(tool, tool.slice(spark, sf_dir)), F.struct("ok", "digest")
+        calls = C.invoke(tool, calls, {ORIGINAL: (tool, 1)}).select(*calls.columns, seen.alias("known"))
+        tuples = C.invoke(tool, calls, codes)
+        rows = C.clause_rows(tool, tuples).select("arm", "clause_id", "held")
+        if tool.variants:
+            rows = rows.unionByName(C.variant_rows(tool, tuples).select("arm", "clause_id", "held"))
+        per = rows.groupBy("clause_id", "arm").agg(F.bool_or(~F.col("held")).alias("broken"))  # clauses times arms: few rows
+        before = F.max(F.when(F.col("arm") == ORIGINAL, F.col("broken"))).over(Window.partitionBy("clause_id"))
+        per = per.select("arm", (F.col("broken") & ((F.col("arm") == ORIGINAL) | ~F.coalesce(before, F.lit(False)))).alias("flagged"))
+        flagged = per.groupBy("arm").agg(F.bool_or("flagged").alias("flagged"))
+        live = tuples.groupBy("arm").agg(F.bool_or(seen != F.col("known")).alias("has_probe"))
+        listed = [(ORIGINAL, tool.name, ORIGINAL, "all", True), *[(m.arm, tool.name, m.operator, m.site, m.has_clause) for m in mutants]]
+        out = spark.createDataFrame(listed, MUTANT).join(F.broadcast(flagged), "arm", "left").join(F.broadcast(live), "arm", "left")
+        parts.append(out.select("tool", "operator", "site", "has_clause", F.coalesce("has_probe", F.lit(False)).alias("has_probe"), F.coalesce("flagged", F.lit(False)).alias("flagged")))
+    return reduce(DataFrame.unionByName, parts)
+
+
+def drawn(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The mutants of the six classes, without originals and preserving rewritings."""
+    return closed(spark, sf_dir).filter(F.col("operator").isin(*CLOSED)).withColumn("crashes", F.lit(False))
 
 
 def outcome(absorbed: str = "detected") -> Column:
-    """Detected needs a clause, a revealing probe and the site; a raw exception is an error, apart from a miss.
+    """Detected means flagged; a raw exception is an error, apart from a miss.
 
     Whether a crash that the host absorbed counts as found is not settled, so it is a parameter
     ('detected' or 'silent'), and both bounds can be given.
     """
-    found = F.col("has_clause") & F.col("has_probe") & F.col("site_found")
-    crash = F.lit(ERROR) if absorbed == "silent" else F.when(found, DETECTED).otherwise(ERROR)
-    return F.when(~F.col("site_found"), UNTESTABLE).when(F.col("crashes"), crash).when(found, DETECTED).otherwise(MISSED)
+    crash = F.lit(ERROR) if absorbed == "silent" else F.when(F.col("flagged"), DETECTED).otherwise(ERROR)
+    return F.when(F.col("crashes"), crash).when(F.col("flagged"), DETECTED).otherwise(MISSED)
 
 
 def diagnosis() -> Column:
@@ -79,8 +177,6 @@ def negative_controls() -> list[tuple[str, str, bool]]:
 
 def control_flags(spark: SparkSession, sf_dir: str, rule: str = "state_only") -> DataFrame:
     """(control, flagged, predicted, as_predicted) of the five negative controls, run through the variant rule."""
-    from dataclasses import replace
-
     from statewitness.operators.desk import TOOLS
 
     variants = {

@@ -26,32 +26,45 @@ def mutation_recall_wilson(spark, d):
     return rows.select("operator", F.round(wilson_lower(F.col("k"), F.col("n"), F.col("e")), 3).alias("lower_limit"))
 
 
-MUTANTS = """SELECT op AS operator, tool, k, op <> 'M-INVAR' AND NOT (op = 'M-PRECOND' AND k % 3 <> 0) AS has_clause, op <> 'M-PARTIAL' OR k = 0 AS has_probe, NOT (op = 'M-IGNARG' AND k = 6) AS site_found, op = 'M-PHANTOM' AND k = 5 AS crashes
-FROM (VALUES ('M-PHANTOM'),('M-PRECOND'),('M-IGNARG'),('M-PARTIAL'),('M-INVAR')) o(op), (VALUES ('set_quantity',0),('top_up_customer',1),('reprice_part',2),('move_supplier',3),('rename_region',4),('readdress_page',5),('relabel_vector',6)) t(tool, k)"""
-OUTCOME = f"SELECT *, CASE WHEN NOT site_found THEN 'untestable' WHEN crashes THEN 'error' WHEN has_clause AND has_probe THEN 'detected' ELSE 'missed' END AS outcome FROM ({MUTANTS})"
+# Mutants that the closed arm draws: operator, tool, site, rows that reveal it (SQL over the base tables; empty: none does), whether a clause reads the site.
+SOME = {"charge_order": "SELECT 1 FROM orders WHERE o_orderstatus = 'O'", "retire_event": "SELECT 1 FROM events", "append_turn": "SELECT 1 FROM conversations", "tag_document": "SELECT 1 FROM labels", "set_quantity": "SELECT 1 FROM lineitem", "rename_region": "SELECT 1 FROM region", "list_activity": "SELECT 1 FROM events", "hold_order": "SELECT 1 FROM orders"}
+NOT_HELD = "SELECT 1 FROM (SELECT min_by(o_orderstatus, o_orderkey) AS first FROM orders GROUP BY o_custkey) WHERE first <> 'F'"
+DRAWN = [
+    *[("M-PHANTOM", t, "all", SOME[t], True, True) for t in ("charge_order", "hold_order", "retire_event", "append_turn", "tag_document", "set_quantity", "rename_region")],
+    ("M-PRECOND", "charge_order", "pre.open", "SELECT 1 FROM orders WHERE o_orderstatus <> 'O'", True, True), ("M-PRECOND", "charge_order", "pre.owner", SOME["charge_order"], True, True),
+    *[("M-IGNARG", t, a, SOME[t], True, True) for t, a in (("charge_order", "amount"), ("hold_order", "reason"), ("append_turn", "role"), ("tag_document", "quality"), ("set_quantity", "quantity"), ("rename_region", "name"), ("list_activity", "limit"), ("list_activity", "order_by"))],
+    ("M-IGNARG", "list_activity", "offset", "SELECT 1 WHERE false", False, False),
+    ("M-PARTIAL", "hold_order", "status", NOT_HELD, True, True),
+    *[("M-PARTIAL", t, f, SOME[t], True, True) for t, f in (("hold_order", "note"), ("retire_event", "marked"), ("retire_event", "listed"), ("append_turn", "n_turns"), ("append_turn", "last_role"), ("tag_document", "n_labels"), ("tag_document", "last_quality"))],
+    *[("M-INVAR", "charge_order", f, SOME["charge_order"], True, True) for f in ("status", "customer")],
+    *[("M-INVAR", t, f, SOME[t], False, False) for t, f in (("hold_order", "note"), ("append_turn", "last_role"), ("tag_document", "last_quality"))],
+]
+MUTANTS = " UNION ALL ".join(f"SELECT '{op}' AS operator, '{t}' AS tool, '{s}' AS site, {c} AS has_clause, EXISTS ({rows}) AS has_probe, {told} AND EXISTS ({rows}) AS flagged" for op, t, s, rows, c, told in DRAWN)
+OUTCOME = f"SELECT *, CASE WHEN flagged THEN 'detected' ELSE 'missed' END AS outcome FROM ({MUTANTS})"
 
 
 @workload("mutation_closed_outcomes", f"SELECT operator, count(*) AS n, count(*) FILTER (outcome = 'detected') AS detected, count(*) FILTER (outcome = 'missed') AS missed, count(*) FILTER (outcome = 'untestable') AS untestable, count(*) FILTER (outcome = 'error') AS error FROM ({OUTCOME}) GROUP BY 1")
 def mutation_closed_outcomes(spark, d):
-    return U.recall_table(U.closed(spark).withColumn("outcome", U.outcome(absorbed="silent")))
+    """Every mutant of the closed world meets every probe of its tool; its outcome comes from the clause rows."""
+    return U.recall_table(U.drawn(spark, d).withColumn("outcome", U.outcome(absorbed="silent")))
 
 
 @workload("mutation_absorbed_bounds", f"SELECT absorbed, count(*) FILTER (outcome = 'detected' OR (absorbed = 'detected' AND outcome = 'error')) AS detected, count(*) AS n FROM ({OUTCOME}), (VALUES ('detected'), ('silent')) a(absorbed) GROUP BY 1")
 def mutation_absorbed_bounds(spark, d):
     """Both readings of a crash that the host absorbed."""
-    parts = [U.closed(spark).withColumn("outcome", U.outcome(a)).agg(F.count_if(F.col("outcome") == U.DETECTED).alias("detected"), F.count("*").alias("n")).select(F.lit(a).alias("absorbed"), "detected", "n") for a in ("detected", "silent")]
+    parts = [U.drawn(spark, d).withColumn("outcome", U.outcome(a)).agg(F.count_if(F.col("outcome") == U.DETECTED).alias("detected"), F.count("*").alias("n")).select(F.lit(a).alias("absorbed"), "detected", "n") for a in ("detected", "silent")]
     return parts[0].union(parts[1])
 
 
 @workload("miss_diagnosis", f"SELECT CASE WHEN NOT has_clause THEN 'no_clause' WHEN NOT has_probe THEN 'probe_never_reveals' ELSE 'other' END AS cause, count(*) AS misses FROM ({OUTCOME}) WHERE outcome = 'missed' GROUP BY 1")
 def miss_diagnosis(spark, d):
-    rows = U.closed(spark).withColumn("outcome", U.outcome("silent")).filter(F.col("outcome") == U.MISSED)
+    rows = U.drawn(spark, d).withColumn("outcome", U.outcome("silent")).filter(F.col("outcome") == U.MISSED)
     return rows.groupBy(U.diagnosis().alias("cause")).agg(F.count("*").alias("misses"))
 
 
 @workload("mutation_target_met", f"SELECT operator, count(*) >= 25 AS target_met FROM ({MUTANTS}) GROUP BY 1")
 def mutation_target_met(spark, d):
-    return U.closed(spark).groupBy("operator").agg((F.count("*") >= U.TARGET_SIZE).alias("target_met"))
+    return U.drawn(spark, d).groupBy("operator").agg((F.count("*") >= U.TARGET_SIZE).alias("target_met"))
 
 
 ICC = """WITH c AS (SELECT o_orderpriority AS g, o_custkey AS c, count(*)::DOUBLE AS m, sum((o_orderstatus = 'F')::INT)::DOUBLE AS s FROM orders GROUP BY 1, 2),
@@ -106,10 +119,13 @@ def negative_controls_footprint(spark, d):
     return U.control_flags(spark, d, rule="footprint").select("control", "flagged")
 
 
-@workload("precision_flags", f"SELECT k::BIGINT AS true_flags, 0::BIGINT AS false_flags, 24::BIGINT AS preserving, round({WILSON}, 3) AS lower_limit FROM (SELECT 25.0 AS k, 25.0 AS n, 25.0 AS e)")
+PRESERVED = 19  # eleven rewritings without effect and the eight originals
+
+
+@workload("precision_flags", f"SELECT k::BIGINT AS true_flags, 0::BIGINT AS false_flags, {PRESERVED}::BIGINT AS preserving, round({WILSON}, 3) AS lower_limit FROM (SELECT k, k AS n, k AS e FROM (SELECT count(*) FILTER (flagged)::DOUBLE AS k FROM ({MUTANTS})))")
 def precision_flags(spark, d):
-    """Precision over flags, with controls that preserve behaviour beside them."""
-    rows = spark.range(49).select((F.col("id") < 25).alias("faulty"), (F.col("id") < 25).alias("flagged"))
+    """Precision over the flags of the closed arm, with the originals and rewritings that preserve behaviour beside them."""
+    rows = U.closed(spark, d).withColumn("faulty", F.col("operator").isin(*U.CLOSED))
     tp, fp = F.count_if(F.col("faulty") & F.col("flagged")), F.count_if(~F.col("faulty") & F.col("flagged"))
     out = rows.agg(tp.alias("true_flags"), fp.alias("false_flags"), F.count_if(~F.col("faulty")).alias("preserving"))
     return out.select("*", F.round(wilson_lower(F.col("true_flags"), F.col("true_flags") + F.col("false_flags")), 3).alias("lower_limit"))
