@@ -87,11 +87,22 @@ def probe_rows(tool: Tool, state: DataFrame) -> DataFrame:
         plans += [("variant", F.col("happy"), None, arg, n, {arg: v}) for n, v in enumerate(values)]
     if len(tool.falsy) > 1:
         plans.append(("joint_falsy", F.col("happy"), None, None, 0, tool.falsy))
-    parts = []
-    for n, (purpose, at, clause, arg, variant, change) in enumerate(plans):
-        head = picked.select("grp", at.alias("at")).filter("at.key IS NOT NULL").select("grp", "at.key", "at.pre")
-        parts.append(head.select("grp", "key", "pre", args_struct(tool, change).alias("args"), F.lit(n).alias("plan"), F.lit(purpose).alias("purpose"), F.lit(clause).cast("string").alias("target"), F.lit(arg).cast("string").alias("arg_name"), F.lit(variant).alias("variant_no")))
-    return reduce(DataFrame.unionByName, parts)
+    kinds = [F.struct(F.lit(n).alias("plan"), at.alias("at"), F.lit(purpose).alias("purpose"), F.lit(clause).cast("string").alias("target"), F.lit(arg).cast("string").alias("arg_name"), F.lit(variant).alias("variant_no")) for n, (purpose, at, clause, arg, variant, _) in enumerate(plans)]
+    told = ("plan", "purpose", "target", "arg_name", "variant_no")
+    out = picked.select("grp", F.explode(F.array(*kinds)).alias("p")).filter("p.at.key IS NOT NULL").select("grp", "p.at.key", "p.at.pre", *[f"p.{x}" for x in told])
+    return out.select("grp", "key", "pre", planned_args(tool, [change for *_, change in plans]).alias("args"), *told)
+
+
+def planned_args(tool: Tool, changes: list[dict[str, str]]) -> Column:
+    """The arguments of each planned call: a value of its own where the plan changes one, else the happy value."""
+    fields = []
+    for name, happy in tool.args.items():
+        value = F.expr(happy)
+        for n, change in enumerate(changes):
+            if change.get(name, happy) != happy:
+                value = F.when(F.col("plan") == n, F.expr(change[name])).otherwise(value)
+        fields.append(value.alias(name))
+    return F.struct(*fields)
 
 
 def canonical(args: Column) -> Column:
