@@ -68,6 +68,16 @@ def test_quality_statistics_against_patterns():
 # --- packing ----------------------------------------------------------------------------------------
 
 
+@pytest.mark.parametrize("letters", ["".join(map(chr, range(33, 127))), "'stdmlrve.,-0É<|>", "".join(map(chr, range(0xA1, 0x100))) + "ab'", "Àþÿß×÷s9a\u0301\u0130\u03a3\u03c2中 .,\u00a0"])
+def test_words_are_cut_as_the_tokenizer_cuts(letters):
+    words, r = packing.WordIds(packing.word_tokenizer(), 1000), random.Random(5)
+    assert words.short
+    for _ in range(4000):
+        text = "".join(r.choices(letters, k=r.randint(1, 14)))
+        ids = words.tokenizer.encode(text, add_special_tokens=False).ids
+        assert words.encode(text) == np.array(ids, "<u4").tobytes(), text
+
+
 def test_packing_round_trip(spark):
     from tokenizers import Tokenizer
 
