@@ -36,7 +36,7 @@ def benchmark_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Dat
 
 def best_fit_packing(_spark: SparkSession, docs: DataFrame, _sf_dir: str) -> DataFrame:
     """Where each piece of each document is packed; workers that served other stages keep fewer words."""
-    return packing.pack(docs, packing.word_tokenizer(), word_memory=100_000)
+    return packing.pack(docs, packing.word_tokenizer(), word_memory=300_000)
 
 
 STAGES = [
