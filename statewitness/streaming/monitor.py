@@ -42,18 +42,20 @@ def split_files(spark: SparkSession, sf_dir: str, files: int, late: int | None =
 
 
 def drained(stream: DataFrame, mode: str = "append", checkpoint: str | None = None) -> DataFrame:
-    """Run a stream over all that is there and return what it wrote (append: Parquet; else a memory table)."""
+    """Run a stream over all that is there and return what it wrote, as Parquet.
+
+    In append mode each batch adds its rows; else each batch replaces the table by its whole result, which the
+    tasks write (nothing is gathered at the driver).
+    """
     spark = stream.sparkSession
-    checkpoint = checkpoint or scratch_path(spark, "checkpoint")
+    checkpoint, out = checkpoint or scratch_path(spark, "checkpoint"), scratch_path(spark, "sink")
     if mode == "append":
-        out = scratch_path(spark, "sink")
-        q = stream.writeStream.format("parquet").option("checkpointLocation", checkpoint).option("path", out).outputMode(mode).trigger(availableNow=True).start()
-        q.awaitTermination()
-        return spark.read.schema(stream.schema).parquet(out)
-    name = "sink_" + checkpoint.rsplit("-", 1)[-1]
-    q = stream.writeStream.format("memory").queryName(name).option("checkpointLocation", checkpoint).outputMode(mode).trigger(availableNow=True).start()
-    q.awaitTermination()
-    return spark.table(name)
+        writer = stream.writeStream.format("parquet").option("path", out)
+    else:
+        spark.createDataFrame([], stream.schema).write.parquet(out)  # a stream without rows has no batch
+        writer = stream.writeStream.foreachBatch(lambda batch, _epoch: batch.write.mode("overwrite").parquet(out))
+    writer.option("checkpointLocation", checkpoint).outputMode(mode).trigger(availableNow=True).start().awaitTermination()
+    return spark.read.schema(stream.schema).parquet(out)
 
 
 def tumbling(stream: DataFrame) -> DataFrame:

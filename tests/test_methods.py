@@ -14,6 +14,7 @@ from statewitness.operators.desk import TOOLS
 from statewitness.operators.grammar import GrammarError, compile_predicate
 from statewitness.sources import contracts as files
 from statewitness.sources.tables import load
+from statewitness.streaming import monitor as S
 
 
 @pytest.mark.parametrize(("k", "n", "eff", "want"), [(5, 7, 7, 0.359), (1, 7, 5, 0.020), (4, 21, 15.13, 0.066), (1, 8, 6, 0.018), (0, 8, 8, 0.0), (25, 25, 25, 0.867), (225, 229, 229, 0.956)])
@@ -117,3 +118,14 @@ def test_raw_dedup_leaves_list_tools_untestable(spark):
     assert [tuple(r) for r in raw] == [("untestable", "adapter_unsupported")]
     fixed = C.verdicts(spark, SF, TOOLS["share_conversation"]).select("verdict").distinct().collect()
     assert [r[0] for r in fixed] == ["conforms"]
+
+
+def test_complete_streams_leave_no_rows_at_the_driver(spark, tmp_path):
+    rows = spark.sql("SELECT id AS event_id, TIMESTAMP_NTZ'2024-01-01' + make_dt_interval(0, int(id) * 4) AS ts, id % 2 AS user_id, 'view' AS event_type, 1.0D AS value, '' AS props FROM range(6)")
+    rows.write.parquet(f"{tmp_path}/some/events.parquet")
+    rows.limit(0).write.parquet(f"{tmp_path}/none/events.parquet")
+    before = {t.name for t in spark.catalog.listTables()}
+    got = S.drained(S.sessions(S.event_stream(spark, f"{tmp_path}/some"), "9 hours"), "complete")
+    assert sorted((r["user_id"], r["n"]) for r in got.collect()) == [(0, 3), (1, 3)] and got.inputFiles()
+    assert S.drained(S.sessions(S.event_stream(spark, f"{tmp_path}/none")), "complete").count() == 0
+    assert {t.name for t in spark.catalog.listTables()} == before
