@@ -1,10 +1,12 @@
 """Grammar, validator, statistics, plans, scan and invariance."""
 
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
 from conftest import SF
 from statewitness import registry
+from statewitness.functions import joins
 from statewitness.functions.joins import as_of, range_join
 from statewitness.functions.state import table_digest, wide_digest
 from statewitness.functions.stats import clustering, wilson_value
@@ -129,3 +131,28 @@ def test_complete_streams_leave_no_rows_at_the_driver(spark, tmp_path):
     assert sorted((r["user_id"], r["n"]) for r in got.collect()) == [(0, 3), (1, 3)] and got.inputFiles()
     assert S.drained(S.sessions(S.event_stream(spark, f"{tmp_path}/none")), "complete").count() == 0
     assert {t.name for t in spark.catalog.listTables()} == before
+
+
+def test_nearest_vectors_with_ties_copies_blocks_and_odd_rows(spark, monkeypatch):
+    rng = np.random.default_rng(4)
+    base = rng.standard_normal((40, 8)).astype(np.float32)
+    rows = [(k, base[k % 40].tolist()) for k in rng.permutation(300).tolist()] + [(k, base[3].tolist()) for k in range(300, 340)] + [(340, (2 * base[3]).tolist())]
+
+    def brute(rows):
+        out, m = {}, {k: np.array(v, np.float64) for k, v in rows}
+        total = lambda a, b: float(np.cumsum(a * b)[-1])
+        for q in (k for k in m if k % 20 == 0):
+            scored = [(-total(m[v], m[q]) / np.sqrt(total(m[v], m[v]) * total(m[q], m[q])), v) for v in m if v != q]
+            out |= {(q, r + 1): v for r, (_, v) in enumerate(sorted(scored)[:5])}
+        return out
+
+    for name, value in (("QUERY_BLOCK", 6), ("QUERY_CHUNK", 3), ("VECTOR_CHUNK", 50)):
+        monkeypatch.setattr(joins, name, value)
+    for parts in (1, 5):
+        df = spark.createDataFrame(rows, "vec_id long, embedding array<float>").repartition(parts)
+        out = joins.nearest_vectors(df.filter("vec_id % 20 = 0"), df, 5)
+        assert {(r["query"], r["rank"]): r["vec_id"] for r in out.collect()} == brute(rows)
+        assert "CrossJoin" not in (plan := out._jdf.queryExecution().toString()) and "NestedLoop" not in plan  # no row for each pair
+    df = spark.createDataFrame([*rows[:30], (990, None)], "vec_id long, embedding array<float>")
+    out = joins.nearest_vectors(df.filter("vec_id % 20 = 0 AND embedding IS NOT NULL"), df, 5)
+    assert {(r["query"], r["rank"]): r["vec_id"] for r in out.collect()} == brute(rows[:30])
