@@ -156,3 +156,11 @@ def test_nearest_vectors_with_ties_copies_blocks_and_odd_rows(spark, monkeypatch
     df = spark.createDataFrame([*rows[:30], (990, None)], "vec_id long, embedding array<float>")
     out = joins.nearest_vectors(df.filter("vec_id % 20 = 0 AND embedding IS NOT NULL"), df, 5)
     assert {(r["query"], r["rank"]): r["vec_id"] for r in out.collect()} == brute(rows[:30])
+
+
+READS_TABLES = ("biconditional_share",)
+
+
+@pytest.mark.parametrize("name", READS_TABLES)
+def test_input_comes_from_tables(spark, name):
+    assert registry.queries()[name](spark, SF).inputFiles()
