@@ -158,7 +158,7 @@ def test_nearest_vectors_with_ties_copies_blocks_and_odd_rows(spark, monkeypatch
     assert {(r["query"], r["rank"]): r["vec_id"] for r in out.collect()} == brute(rows[:30])
 
 
-READS_TABLES = ("biconditional_share", "contract_drafts")
+READS_TABLES = ("biconditional_share", "contract_drafts", "contract_validator")
 
 
 @pytest.mark.parametrize("name", READS_TABLES)
