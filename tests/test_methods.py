@@ -158,7 +158,7 @@ def test_nearest_vectors_with_ties_copies_blocks_and_odd_rows(spark, monkeypatch
     assert {(r["query"], r["rank"]): r["vec_id"] for r in out.collect()} == brute(rows[:30])
 
 
-READS_TABLES = ("biconditional_share", "contract_drafts", "contract_validator", "coverage_totals", "dead_rules", "disclosure_status", "grader_ungrounded", "headline_cells", "ledger_adjudicated", "ledger_append_idempotent", "ledger_units_rollup")
+READS_TABLES = ("biconditional_share", "contract_drafts", "contract_validator", "coverage_totals", "dead_rules", "disclosure_status", "grader_ungrounded", "headline_cells", "ledger_adjudicated", "ledger_append_idempotent", "ledger_units_rollup", "mutation_recall_wilson")
 
 
 @pytest.mark.parametrize("name", READS_TABLES)
