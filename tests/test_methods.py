@@ -1,5 +1,8 @@
 """Grammar, validator, statistics, plans, scan and invariance."""
 
+import gc
+import weakref
+
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
@@ -7,6 +10,7 @@ from pyspark.sql import functions as F
 from conftest import SF
 from statewitness import registry
 from statewitness.functions import joins
+from statewitness.llm.arrow_text import tidied
 from statewitness.functions.joins import as_of, range_join
 from statewitness.functions.state import table_digest, wide_digest
 from statewitness.functions.stats import clustering, wilson_value
@@ -164,3 +168,21 @@ READS_TABLES = ("biconditional_share", "contract_drafts", "contract_validator",
 @pytest.mark.parametrize("name", READS_TABLES)
 def test_input_comes_from_tables(spark, name):
     assert registry.queries()[name](spark, SF).inputFiles()
+
+
+def test_workers_free_what_a_task_left_in_cycles():
+    class Held:
+        def __init__(self):
+            self.me = self
+
+    seen = []
+
+    def run(batches):
+        seen.append(weakref.ref(Held()))
+        yield from batches
+
+    gc.disable()
+    try:
+        assert list(tidied(run)(iter([1, 2]))) == [1, 2] and seen[0]() is None
+    finally:
+        gc.enable()
